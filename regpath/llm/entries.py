@@ -2,12 +2,18 @@
 
 from __future__ import annotations
 
-from regpath.llm import mixing, sharding
+from regpath.llm import decontaminate, licenses, lines, mixing, sharding
 
 QUERIES = {
     "op1_mix_sources": mixing.op1_mix_sources,
+    "op2_license_scan": licenses.op2_license_scan,
+    "op4_decontaminate": decontaminate.op4_decontaminate,
     "op5_shard": sharding.op5_shard,
+    "op7_line_dedup": lines.op7_line_dedup,
 }
 ORACLES = {
     "op1_mix_sources": mixing.ORACLE,
+    "op2_license_scan": licenses.ORACLE,
+    "op4_decontaminate": decontaminate.ORACLE,
+    "op7_line_dedup": lines.ORACLE,
 }
