@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from regpath.llm.common import small, table, words_of
+from regpath.llm.common import quick_words, small, table
 
 #: A seed compares the words where its mask has 1 and ignores the others; all masks are equally long.
 MASKS = ("11011010111", "11101011011")
@@ -49,8 +49,8 @@ def overlaps(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", text: s
     if len({len(m) for m in masks}) != 1:
         raise ValueError("masks must be equally long")
     span = len(masks[0])
-    own = docs.select(F.col(key).alias("_key"), words_of(F.col(text)).alias("_words"))
-    items = benchmark.select(F.col(item).alias("_item"), words_of(F.col(item_text)).alias("_item_words")).where(F.size("_item_words") > 0)
+    own = docs.select(F.col(key).alias("_key"), quick_words(F.col(text)).alias("_words"))
+    items = benchmark.select(F.col(item).alias("_item"), quick_words(F.col(item_text)).alias("_item_words")).where(F.size("_item_words") > 0)
     seeds = seeds_of(items, "_item_words", masks).select("_item", "_item_words", F.col("pos").alias("_item_pos"), "seed")
     if small(seeds, broadcast_up_to):
         hits = seeds_of(own, "_words", masks).join(F.broadcast(seeds), "seed").withColumn("_shift", F.col("pos") - F.col("_item_pos"))
@@ -90,7 +90,7 @@ def op4_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _sql() -> str:
-    words = "list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+'), lambda x: x <> '')"
+    words = "list_filter(regexp_split_to_array(lower(coalesce(text, '')), '[\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+'), lambda x: x <> '')"
     span = len(MASKS[0])
     keys = "unnest([" + ", ".join(f"'{m}' || ' ' || " + " || ' ' || ".join(f"w[p + {i + 1}]" for i, b in enumerate(m) if b == "1") for m in MASKS) + "])"
     return f"""
