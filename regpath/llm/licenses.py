@@ -8,7 +8,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from regpath.llm.common import table, words_of
+from regpath.llm.common import quick_words, table, words_of
 
 #: Phrases and their labels.
 PHRASES = {"under the mit license": "mit", "apache license version 2": "apache-2", "cc by nc": "cc-by-nc"}
@@ -48,12 +48,9 @@ def blocks_of(words: Column, n: Column) -> Column:
 
 
 def token_counts(docs: DataFrame, tokens: list[str], text: str = "text") -> dict[str, int]:
-    """In how many blocks of all docs each of the given tokens stands; as many numbers as tokens."""
-    words = docs.select(words_of(F.col(text)).alias("w")).withColumn("n", F.size("w"))
-    within = F.array(*map(F.lit, tokens))
-    found = words.select(F.flatten(F.transform(blocks_of(F.col("w"), F.col("n")), lambda b: F.array_intersect(b, within))).alias("t"))
-    counts = found.where(F.size("t") > 0).select(F.explode("t").alias("t")).groupBy("t").count()
-    return {r["t"]: r["count"] for r in counts.collect()}
+    """How often each of the given tokens stands in all docs; as many numbers as tokens."""
+    words = docs.select(F.explode(quick_words(F.col(text))).alias("t")).where(F.col("t").isin(tokens))
+    return {r["t"]: r["count"] for r in words.groupBy("t").count().collect()}
 
 
 def ranked(templates, counts: dict[str, int], contained: float) -> tuple[dict[str, int], list[Template]]:
@@ -93,20 +90,25 @@ def scan(docs: DataFrame, key: str = "doc_id", text: str = "text", phrases: dict
     distinct words.  Only blocks that share a word within both sides' prefixes,
     that are long enough, and whose first shared word leaves enough words
     behind it, are compared in full; the order of words is their frequency in
-    all blocks of all docs.  score: the largest share found, 1 with a phrase.
+    all docs.  A text without a word of any template's prefix has no such block.  score: the largest share found, 1 with a phrase.
     Null and empty texts have no words and no labels.  Each row is on its own:
     repeated rows and equal keys are returned as often as they occur.
     """
     tokens = sorted({w for _, t in templates for w in t.split()})
-    rank, known = ranked(templates, token_counts(docs, tokens, text), contained)
+    counts = token_counts(docs, sorted({*tokens, *(w for p in phrases for w in p.split())}), text)
+    rank, known = ranked(templates, counts, contained)
     to_rank = F.create_map(*[F.lit(x) for w, i in rank.items() for x in (w, i)])
     within = F.array(*map(F.lit, tokens))
-    heads = F.array(*[F.lit(i) for i in sorted({i for t in known for i in t.ranks[: len(t.ranks) - t.need + 1]})])
+    head = sorted({i for t in known for i in t.ranks[: len(t.ranks) - t.need + 1]})
+    heads, head_words = F.array(*map(F.lit, head)), F.array(*[F.lit(w) for w, i in rank.items() if i in set(head)])
 
-    words = docs.select(F.col(key).alias(key), words_of(F.col(text)).alias("w")).withColumn("n", F.size("w"))
+    # most texts have no word of a prefix or phrase: they are told by their words in any lower case, and need no more
+    telling = F.array(*map(F.lit, sorted({w for w, i in rank.items() if i in set(head)} | {min(p.split(), key=lambda w: counts.get(w, 0)) for p in phrases})))
+    words = docs.select(F.col(key).alias(key), F.col(text).alias("text"), quick_words(F.col(text)).alias("q")).select(key, "text", F.size("q").alias("n"), F.arrays_overlap("q", telling).alias("told"))
+    words = words.withColumn("w", F.when(F.col("told"), words_of(F.col("text"))).otherwise(F.array().cast("array<string>")))
     spaced = words.withColumn("s", F.concat(F.lit(" "), F.array_join("w", "  "), F.lit(" ")))
     blocks = F.transform(blocks_of(F.col("w"), F.col("n")), lambda b: F.array_sort(F.transform(F.array_intersect(b, within), lambda w: to_rank[w])))
-    spaced = spaced.withColumn("b", F.filter(blocks, lambda b: F.arrays_overlap(b, heads)))
+    spaced = spaced.withColumn("b", F.when(F.arrays_overlap("w", head_words), F.filter(blocks, lambda b: F.arrays_overlap(b, heads))))
 
     def spaces(x: Column) -> Column:
         return (F.length(x) - F.length(F.replace(x, F.lit(" "), F.lit("")))) / 2
