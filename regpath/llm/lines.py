@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from regpath.llm.common import if_small, table
+from regpath.operators.scratch import Scratch
 
 HIDDEN = r"(?is)<(?:script|style)[^>]*>.*?</(?:script|style)>|<!--.*?-->"
 BREAKING = r"(?i)</?(?:p|div|li|ul|ol|nav|article|section|header|footer|h[1-6]|br|tr|td|th|table|title|head|body|html|blockquote|pre|main|aside|form)(?:[ \t\r\n][^>]*)?/?>"
@@ -51,14 +52,16 @@ def line_hash(line: Column) -> Column:
     return F.struct(F.xxhash64(line).alias("a"), F.hash(line).alias("b"))
 
 
-def drop_repeated(pages: DataFrame, key: str = "page_id", url: str = "url", html: str = "html", ratio: float = RATIO, least_pages: int = LEAST_PAGES) -> DataFrame:
+def drop_repeated(pages: DataFrame, key: str = "page_id", url: str = "url", html: str = "html", ratio: float = RATIO, least_pages: int = LEAST_PAGES, scratch: Scratch | None = None) -> DataFrame:
     """(key, host, n_lines, n_dropped, kept_text) for each row of pages.
 
     A page is a row; a line counts once a page.  Pages without a host are one
-    site.  A page without text has no lines and an empty kept_text.
+    site.  A page without text has no lines and an empty kept_text.  Markup is
+    read once: the lines are written to the shared folder, then counted and filtered.
     """
-    own = pages.select(F.col(key).alias(key), host_of(F.col(url)).alias("_host"), lines_of(F.col(html)).alias("_lines"))
-    often = repeated_lines(own, ratio, least_pages)
+    scratch = scratch or Scratch(pages.sparkSession, "lines")
+    own = scratch.table(pages.select(F.col(key).alias(key), host_of(F.col(url)).alias("_host"), lines_of(F.col(html)).alias("_lines")))
+    often = scratch.table(repeated_lines(own, ratio, least_pages))
     often = if_small(often, LINES_BROADCAST // 100)
     joined = own.join(often, own["_host"] == often["host"], "left")
     kept = F.when(F.col("_often").isNull(), F.col("_lines")).otherwise(F.filter("_lines", lambda x: ~F.array_contains("_often", line_hash(x))))
