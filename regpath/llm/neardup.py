@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from regpath.llm import kernel
-from regpath.llm.common import table
+from regpath.llm.common import small, table
 from regpath.operators.components import connected_components
 from regpath.operators.scratch import Scratch
 
@@ -190,38 +190,56 @@ def near_duplicates(docs: DataFrame, k: int = 2, percent: int = 80, key: str = "
     hub, its least key; a set is sent once to each of its hubs, where all that
     came are compared with each other, so every pair that shares a band meets.
     Large groups are compared in blocks, two blocks a task, and give a
-    spanning forest of their links, never all pairs.
+    spanning forest of their links, never all pairs.  Joins are merge joins at
+    every size: what they broadcast would grow with the documents.
     """
     scratch = scratch or Scratch(docs.sparkSession, "neardup")
     own = docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).alias("text"))
     sketched = scratch.table(own.mapInArrow(_sketched(k), "doc_id long, n_shingles long, d1 long, d2 long, bands array<long>"))
     ids = sketched.where("n_shingles > 0 and doc_id is not null").select("doc_id", "n_shingles", "d1", "d2")
     classes = ids.groupBy("n_shingles", "d1", "d2").agg(F.min("doc_id").alias("rep"))
-    members = scratch.table(ids.join(classes, ["n_shingles", "d1", "d2"]).select("doc_id", "n_shingles", "rep"))
+    members = scratch.table(ids.join(classes.hint("merge"), ["n_shingles", "d1", "d2"]).select("doc_id", "n_shingles", "rep"))
 
     leaders = members.where("doc_id = rep").select("doc_id").distinct()
-    keyed = sketched.join(leaders, "doc_id", "left_semi").select(F.col("doc_id").alias("rep"), F.col("n_shingles").alias("n"), F.explode("bands").alias("band"))
+    keyed = sketched.join(leaders.hint("merge"), "doc_id", "left_semi").select(F.col("doc_id").alias("rep"), F.explode("bands").alias("band"))
     keyed = scratch.table(keyed)
     hubs = keyed.groupBy("band").agg(F.min("rep").alias("hub"), F.max("rep").alias("other")).where("hub < other").select("band", "hub")
-    sent = scratch.table(keyed.join(hubs, "band").groupBy("hub", "rep").agg(F.max("n").alias("n")))
+    met = keyed.join(hubs.hint("merge"), "band").select("hub", "rep").distinct()
+    sent = scratch.table(met.join(members.groupBy("rep").agg(F.max("n_shingles").alias("n")).hint("merge"), "rep"))
     groups = sent.groupBy("hub").agg(F.greatest(F.ceil(F.count(F.lit(1)) / BLOCK_SETS), F.ceil(F.sum("n") / BLOCK_SHINGLES)).cast("int").alias("blocks"))
     placed = sent.join(groups, "hub").withColumn("own", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
     placed = placed.withColumn("j", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     task = F.struct("hub", F.least("own", "j").alias("i"), F.greatest("own", "j").alias("j"), "own")
     # a document has at most as many hubs as bands, and goes to each block of a hub once
     tasks = placed.groupBy(F.col("rep").alias("doc_id")).agg(F.collect_list(task).alias("tasks"))
-    sets = own.join(tasks, "doc_id").mapInArrow(_dealt(k), "hub long, i int, j int, own int, doc_id long, elements array<long>")
+    sets = own.join(tasks.hint("merge"), "doc_id").mapInArrow(_dealt(k), "hub long, i int, j int, own int, doc_id long, elements array<long>")
     found = sets.repartition("hub", "i", "j").sortWithinPartitions("hub", "i", "j").mapInArrow(_verified(percent), "a long, b long")
     twice = members.groupBy("doc_id").agg(F.min("rep").alias("least"), F.max("rep").alias("most")).where("least < most")
     again = members.join(twice, "doc_id", "left_semi").select("doc_id", "rep")
     reached = connected_components(found.union(again), scratch)
-    joined = members.join(reached, members["rep"] == reached["node"], "left")
+    joined = members.join(reached.hint("merge"), members["rep"] == reached["node"], "left")
     done = joined.select("doc_id", "n_shingles", F.coalesce("component", "rep").alias("component_id"))
     alone = sketched.where("n_shingles = 0 or doc_id is null").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))
     every = done.union(alone)
     return every.select(F.col("doc_id").alias(key), "n_shingles", "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"))
 
 
+def keep_one(docs: DataFrame, scratch: Scratch | None = None, **how) -> DataFrame:
+    """One row of docs for each group of near-duplicates, its least doc_id; rows without a doc_id stay.
+
+    Rows of equal doc_id are one document: one of them stays, that of the least text hash.
+    """
+    scratch = scratch or Scratch(docs.sparkSession, "neardup")
+    found = scratch.table(near_duplicates(docs, scratch=scratch, **how))
+    dropped = found.where("not kept").select("doc_id").distinct()
+    left = docs.join(dropped.hint("merge"), "doc_id", "left_anti").select(*docs.columns)
+    if small(found.where("doc_id is not null").groupBy("doc_id").count().where("count > 1"), 0):
+        return left
+    first = F.min_by(F.struct(*docs.columns), F.xxhash64(F.coalesce("text", F.lit("")))).alias("row")
+    one = left.where("doc_id is not null").groupBy("doc_id").agg(first).select("row.*")
+    return one.union(left.where("doc_id is null"))
+
+
 def op9_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Near-duplicates of two-word shingles among all documents."""
     return near_duplicates(table(spark, sf_dir, "documents"))
