@@ -100,7 +100,9 @@ def _likelihoods(model: TextModel):
                 scores = np.array([kernel.sums(row[code], off) for row in model.table]).T
                 lists = pa.ListArray.from_arrays(pa.array(np.arange(to - at + 1, dtype=np.int32) * scores.shape[1]), pa.array(np.ascontiguousarray(scores).reshape(-1)))
                 named = [c.slice(at, to - at) for c, n in zip(batch.columns, batch.schema.names, strict=True) if n != "text"]
-                yield pa.RecordBatch.from_arrays([*named, pa.array(np.diff(off)), lists], names=[n for n in batch.schema.names if n != "text"] + ["n_grams", "scores"])
+                data, at_byte = kernel.bytes_of(batch.column("text").slice(at, to - at))
+                letters = kernel.sums((LETTERS[data] != 32).astype(np.int64), at_byte)
+                yield pa.RecordBatch.from_arrays([*named, pa.array(letters), pa.array(np.diff(off)), lists], names=[n for n in batch.schema.names if n != "text"] + ["n_letters", "n_grams", "scores"])
 
     return run
 
@@ -123,8 +125,8 @@ def identify(rows: DataFrame, scratch: Scratch | None = None, fit_rows: int = FI
     declared language and of the suffix's hint, and the host's prior: counts of
     all rows of the host by their text's best language, smoothed with those of
     its suffix and these with those of all rows.  A further class, `und`, takes
-    texts that every language explains worse than chance.  Texts without a letter are `und`;
-    unknown or null declarations and suffixes are no evidence; null hosts are one host.
+    texts that every language explains worse than chance.  Texts without a letter are `und`,
+    and those too short for a trigram go by the other evidence; unknown or null declarations and suffixes are no evidence; null hosts are one host.
     accepted: not `und`, and a posterior of at least ACCEPTED.  Every row is
     returned, without its text; repeated rows are rows of their own.
     """
@@ -132,7 +134,7 @@ def identify(rows: DataFrame, scratch: Scratch | None = None, fit_rows: int = FI
     model = fit(rows, fit_rows)
     names, n = model.languages, len(model.languages)
     fields = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in rows.drop("text").schema)
-    scored = rows.select(*[c for c in rows.columns if c != "text"], "text").mapInArrow(_likelihoods(model), f"{fields}, n_grams long, scores array<double>")
+    scored = rows.select(*[c for c in rows.columns if c != "text"], "text").mapInArrow(_likelihoods(model), f"{fields}, n_letters long, n_grams long, scores array<double>")
     scored = scratch.table(scored)
     if not n:
         return scored.select(*[c for c in rows.columns if c != "text"], F.lit("und").alias("language"), F.lit(0.0).alias("posterior"), F.lit(False).alias("accepted"))
@@ -158,13 +160,13 @@ def identify(rows: DataFrame, scratch: Scratch | None = None, fit_rows: int = FI
     total = add(add(F.transform("scores", lambda s: s * weight), prior), add(chance(F.lower("declared"), DECLARED_RIGHT), chance(hint, SUFFIX_RIGHT)))
     done = joined.withColumn("_total", total).withColumn("_most", F.array_max("_total")).withColumn("_best", F.array_position("_total", F.col("_most")).cast("int"))
     shares = F.aggregate("_total", F.lit(0.0), lambda a, x: a + F.exp(x - F.col("_most")))
-    done = done.withColumn("language", F.when(F.col("n_grams") == 0, "und").otherwise(F.element_at(F.array(*map(F.lit, [*names, "und"])), F.col("_best")))).withColumn("posterior", F.when(F.col("n_grams") == 0, 0.0).otherwise(1.0 / shares))
+    done = done.withColumn("language", F.when(F.col("n_letters") == 0, "und").otherwise(F.element_at(F.array(*map(F.lit, [*names, "und"])), F.col("_best")))).withColumn("posterior", F.when(F.col("n_letters") == 0, 0.0).otherwise(1.0 / shares))
     return done.select(*[c for c in rows.columns if c != "text"], "language", "posterior", ((F.col("language") != "und") & (F.col("posterior") >= ACCEPTED)).alias("accepted"))
 
 
-def of_documents(docs: DataFrame) -> DataFrame:
+def of_documents(docs: DataFrame, *more: Column) -> DataFrame:
     """Documents as rows for `identify`: their source is the host, and they have no address."""
-    return docs.select(F.col("doc_id").alias("key"), "text", F.col("lang").alias("declared"), F.lit(None).cast("string").alias("suffix"), F.col("source").alias("host"))
+    return docs.select(*more, F.col("doc_id").alias("key"), "text", F.col("lang").alias("declared"), F.lit(None).cast("string").alias("suffix"), F.col("source").alias("host"))
 
 
 def of_pages(pages: DataFrame) -> DataFrame:
@@ -187,8 +189,8 @@ def page_language(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def keep_identified(docs: DataFrame, scratch: Scratch | None = None) -> DataFrame:
-    """The rows of docs whose language is accepted; rows without a doc_id are rejected with `und` texts alone."""
-    own = docs.select(*docs.columns, F.col("doc_id").alias("_key"))
-    found = identify(of_documents(docs), scratch)
-    rejected = found.where("not accepted").select(F.coalesce(F.col("key"), F.lit(-1)).alias("_no")).distinct()
-    return own.join(if_small(rejected, 1_000_000), F.coalesce(F.col("_key"), F.lit(-1)) == F.col("_no"), "left_anti").select(*docs.columns)
+    """The rows of docs whose language is accepted.  Each row is judged on its own, whatever its doc_id."""
+    mark = F.xxhash64(*[F.coalesce(F.col(c), F.lit("")) for c in ("text", "lang", "source")])
+    found = identify(of_documents(docs, mark.alias("mark")), scratch)
+    rejected = found.where("not accepted").select(F.col("key").alias("_no"), F.col("mark").alias("_mark")).distinct()
+    return docs.join(if_small(rejected, 1_000_000), docs["doc_id"].eqNullSafe(F.col("_no")) & (mark == F.col("_mark")), "left_anti").select(*docs.columns)

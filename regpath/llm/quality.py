@@ -17,7 +17,8 @@ BUCKETS = 1 << 14
 RANK = 6
 #: Fitted on at most so many labelled rows, those of the least hash.
 FIT_ROWS = 4_000
-EPOCHS, BATCH, RATE, PENALTY = 12, 128, 0.02, 1e-4
+#: As many mini-batches at every size: small samples are gone through more often.
+STEPS, BATCH, RATE, PENALTY = 800, 128, 0.05, 3e-3
 GOOD = 0.7
 STATISTICS = ("log_words", "word_length", "distinct", "upper", "marks", "symbols", "digits", "log_lines", "line_words", "non_ascii", "log_chars", "has_chars")
 
@@ -86,7 +87,7 @@ def fit(rows: list[tuple[list[int], list[float], int]]) -> Machine:
     bias = float(np.log((label.sum() + 1) / (len(label) - label.sum() + 1)))
     seen_w, seen_v = np.full(size, 1e-8), np.full((size, RANK), 1e-8)
     extra = np.arange(BUCKETS, size)
-    for _ in range(EPOCHS):
+    for _ in range(-(-STEPS * BATCH // max(BATCH, len(rows)))):
         order = rng.permutation(len(rows))
         for a in range(0, len(rows), BATCH):
             own = order[a : a + BATCH]
