@@ -28,7 +28,8 @@ class Evaluation:
 
     mode: 'auto' or one of the three ways.  cap: targets a vertex may hold in the
     capped search, 'auto' to start at 16; it doubles as needed.  one_part: a graph
-    without parts of up to so many edges counts as one part in itself.  log: a dict of each evaluation.
+    without parts of up to so many edges counts as one part in itself.  budget: the
+    greatest bound that a query may have.  log: a dict of each evaluation.
     """
 
     scratch: Scratch
@@ -36,6 +37,7 @@ class Evaluation:
     cap: int | str = "auto"
     max_rounds: int = 1_000_000
     one_part: int = 50_000
+    budget: float | None = None
     log: list[dict] = field(default_factory=list)
 
     def way(self, g: LabeledGraph, a: Automaton) -> str:

@@ -6,6 +6,7 @@ that setting is absent (tests, local sessions) is a folder of our own made.
 
 from __future__ import annotations
 
+import itertools
 import tempfile
 import uuid
 
@@ -31,15 +32,14 @@ class Scratch:
     def __init__(self, spark: SparkSession, name: str = "scratch") -> None:
         self.spark = spark
         self.root = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex[:12]}"
-        self._n = 0
+        self._n = itertools.count(1)  # tables may be written from several threads
 
     def table(self, df: DataFrame) -> DataFrame:
         """Writes df and reads it back: its lineage is the written files."""
         return self.spark.read.schema(df.schema).parquet(self.path(df))
 
     def path(self, df: DataFrame) -> str:
-        self._n += 1
-        path = f"{self.root}/{self._n:04d}"
+        path = f"{self.root}/{next(self._n):04d}"
         df.write.mode("overwrite").parquet(path)
         return path
 

@@ -47,7 +47,6 @@ def _graph(name: str) -> Run:
 
 for _name in G:
     _add(f"graph_{_name}", _graph(_name), query(_name, "SELECT src, label, dst FROM g"))
-_add("graph_near", _graph("near"))
 _add("graph_vertices", lambda s, d: builders.supply(s, d).vertices(), query("supply", "SELECT v FROM n"))
 _add("graph_symmetric", lambda s, d: builders.talk(s, d).symmetric(materialise=True).edges.select("src", "label", "dst"), query("talk", "SELECT src, label, dst FROM g UNION SELECT dst, '^' || label, src FROM g"))
 _add("graph_label_stats", lambda s, d: builders.supply(s, d).label_stats(), query("supply", "SELECT label, count(*) AS edges, count(DISTINCT src) AS sources, count(DISTINCT dst) AS targets FROM g GROUP BY label"))
@@ -153,11 +152,11 @@ _add("pairs_doubling", _one(reach.base_doubling), _purchases)
 # ---- whole queries
 
 
-def _evaluated(name: str, **how) -> Run:
+def _evaluated(name: str, mode: str = "auto", **how) -> Run:
     graph = workloads.TEXTS[name][0]
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        g, e = _stored(spark, sf_dir, graph)
+        g, e = _stored(spark, sf_dir, graph, mode=mode)
         return ev.evaluate(workloads.workload(name), g, how=e, **how)
 
     return run
@@ -221,6 +220,11 @@ _add("fc_dangling_calibrated", _connex("dangling"), DANGLING)
 _add("fc_dangling_literal", _connex("dangling", child_filters=False), DANGLING)
 
 
+_add("acyclic_four_atoms", _evaluated("four_atoms"), FOUR)
+_add("acyclic_dangling", _evaluated("dangling"), DANGLING)
+_add("acyclic_boolean", _evaluated("boolean"), ORACLES["fc_boolean"])
+
+
 def _other_root(spark: SparkSession, sf_dir: str) -> DataFrame:
     g, e = _stored(spark, sf_dir, "timeline")
     q = workloads.workload("four_atoms")
@@ -297,6 +301,8 @@ _add("contract_all_guards", _evaluated("nine_atoms", skip_trivial_guards=False),
 # ---- decompositions
 
 _add("acyclic_running_query", _evaluated("nine_atoms"), NINE)
+_add("acyclic_running_tables", _evaluated("nine_atoms", mode="local"), NINE)
+_add("acyclic_running_single_tables", _evaluated("nine_atoms", mode="local", decomposition="single"), NINE)
 _add("acyclic_running_single_bag", _evaluated("nine_atoms", decomposition="single"), NINE)
 _add("acyclic_star2", _evaluated("star2"), _path(2))
 _add("acyclic_star3", _evaluated("star3"), STAR3)
@@ -408,6 +414,24 @@ def _out_and_rpqs(spark: SparkSession, sf_dir: str) -> DataFrame:
 _add("measure_out_vs_rpq", _out_and_rpqs, query("timeline", f"SELECT 'OUT' AS relation, (SELECT count(*) FROM ({conjunction(['X', 'Y', 'U'], _four_atoms)})) AS n UNION ALL SELECT 'r1', (SELECT count(*) FROM r1) UNION ALL SELECT 'r2', (SELECT count(*) FROM er) UNION ALL SELECT 'r3', (SELECT count(*) FROM si) UNION ALL SELECT 'r4', (SELECT count(*) FROM cl)", *_four))
 
 
+def _advantage(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The largest expression's rows over the result's, for three queries: where materialising first is wasteful."""
+    rows = []
+    for name in ("four_atoms", "dangling", "nine_atoms"):
+        g, e = _stored(spark, sf_dir, workloads.TEXTS[name][0])
+        q = workloads.workload(name)
+        largest = max(reach.pairs_capped(g, x, how=e).count() for x in dict.fromkeys(a.expr for a in q.atoms))
+        out = ev.evaluate(q, g, how=e).count()
+        rows.append((name, largest, out, round(largest / out, 3) if out else None))
+    return spark.createDataFrame(rows, "name string, largest long, out long, ratio double")
+
+
+_add("measure_advantage", _advantage, query(
+    "timeline", "SELECT name, largest, out, round(largest / out, 3) AS ratio FROM (SELECT 'four_atoms' AS name, (SELECT count(*) FROM r1x) AS largest, (SELECT count(*) FROM o4) AS out UNION ALL SELECT 'dangling', (SELECT count(*) FROM c), (SELECT count(*) FROM od) UNION ALL SELECT 'nine_atoms', (SELECT count(*) FROM (SELECT DISTINCT c.x, er.y FROM c JOIN er ON c.y = er.x)), (SELECT count(*) FROM lt JOIN rt ON lt.a = rt.a))",
+    *_nine, ("r1x", then("c", "pu")), ("ss", then("si", "si")), ("o4", conjunction(["X", "Y", "U"], [("r1x", "X", "Y"), ("er", "Y", "Z"), ("si", "Z", "W"), ("cl", "X", "U")])), ("od", conjunction(["X", "Y", "U"], [("pu", "X", "Y"), ("c", "Y", "U"), ("ss", "U", "W")])),
+))
+
+
 def _calibration(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Rows of the second atom's relation, with and without its children's messages, against the result's projection."""
     g, e = _stored(spark, sf_dir, "timeline")
@@ -501,6 +525,7 @@ _add("result_window_rank", lambda s, d: surface.rank_result(surface.group_result
 ))
 _add("edges_range_join", lambda s, d: builders.edges_range_join(read(s, d, "events"), ["user_id"], "ts", "event_id", 86_400, "within_a_day").edges, "SELECT DISTINCT a.event_id AS src, 'within_a_day' AS label, b.event_id AS dst FROM events a JOIN events b ON a.user_id = b.user_id AND epoch_us(b.ts) > epoch_us(a.ts) AND epoch_us(b.ts) - epoch_us(a.ts) <= 86400000000")
 _add("edges_asof", lambda s, d: builders.edges_asof(read(s, d, "events").where("event_type = 'purchase'"), read(s, d, "events").where("event_type = 'click'"), ["user_id"], "ts", "ts", "event_id", "event_id", "last_click", "event_id").edges, "SELECT src, label, dst FROM (SELECT a.event_id AS src, 'last_click' AS label, b.event_id AS dst, row_number() OVER (PARTITION BY a.event_id ORDER BY b.ts DESC, b.event_id DESC) AS r FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts <= a.ts WHERE a.event_type = 'purchase' AND b.event_type = 'click') WHERE r = 1")
+_add("edges_interval", lambda s, d: builders.edges_interval(read(s, d, "events").where("event_type = 'view'"), read(s, d, "events").where("event_type = 'purchase'"), ["user_id"], "ts", "event_id", "ts", "event_id", 43_200, "bought_after_view").edges, "SELECT DISTINCT a.event_id AS src, 'bought_after_view' AS label, b.event_id AS dst FROM events a JOIN events b ON a.user_id = b.user_id AND epoch_us(b.ts) >= epoch_us(a.ts) AND epoch_us(b.ts) < epoch_us(a.ts) + 43200000000 WHERE a.event_type = 'view' AND b.event_type = 'purchase'")
 _add("session_edges", lambda s, d: builders.session_edges(read(s, d, "events"), ["user_id"], "ts", "event_id", "event_id", "12 hours").edges, "SELECT src, label, dst FROM (SELECT lag(event_id) OVER w AS src, 'same_session' AS label, event_id AS dst, epoch_us(ts) - lag(epoch_us(ts)) OVER w AS gap FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)) WHERE gap < 43200000000")
 
 
@@ -534,8 +559,9 @@ _add("web_star", _text("H, Y <- [links](X, Y), [on_host](X, H)", "web"), query("
 _add("docs_copies", _text("X, Y <- [has_text/^has_text](X, Y), [rated](X, Q), [in_lang](Y, 'l:en')", "docs"), query("docs", "SELECT DISTINCT a.x AS X, b.x AS Y FROM t a JOIN t b ON a.y = b.y JOIN r ON r.x = a.x JOIN l ON l.x = b.x WHERE l.y = 'l:en'", ("t", edge("has_text")), ("r", edge("rated")), ("l", edge("in_lang"))))
 _add("docs_quotes", _text("D, B, S <- [quotes](D, B), [from_source](D, S)", "docs"), query("docs", "SELECT DISTINCT q.x AS D, q.y AS B, s.y AS S FROM q JOIN s ON q.x = s.x", ("q", edge("quotes")), ("s", edge("from_source"))))
 _add("talk_any", _rpq("talk", ".*"), _pairs("talk", "SELECT * FROM c", closure("c")))
-_add("near_same", _rpq("near", "same+"))
-_add("near_mixed", _rpq("near", "same*/diff"))
+_add("near_same", _rpq("near", "same+"), _pairs("near", then("s", "c"), ("s", edge("same")), closure("c", "same")))
+_add("near_mixed", _rpq("near", "same*/diff"), _pairs("near", then("c", "d"), closure("c", "same"), ("d", edge("diff"))))
+_add("cosine_edges", builders.cosine_edges, query("near", "SELECT src, g.label, dst, round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 4) AS cosine FROM g JOIN embeddings a ON a.vec_id = src JOIN embeddings b ON b.vec_id = dst"))
 _add("udtf_pairs", surface.udtf_pairs, _pairs("talk", then("a", "c"), ("a", edge("user")), closure("c", "assistant", "user")))
 _add("explain_cost", lambda s, d: surface.explain_cost(workloads.workload("nine_atoms"), *_stored(s, d, "timeline")))
 _add("stream_timeline", feed.replayed_timeline, query("timeline", "SELECT src, label, dst FROM g"))

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field
 from functools import reduce
 
@@ -9,8 +11,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from regpath.functions.regex import compose, invert
+from regpath.functions.regex import Guard, compose, invert, letters
 from regpath.operators.joins import acyclic_join, natural
+from regpath.operators.parts import evaluate_parts
 from regpath.operators.reach import Evaluation, holds, pairs_capped, reach_unary
 from regpath.operators.scratch import Scratch
 from regpath.plans.query import Atom, PathQuery
@@ -70,32 +73,58 @@ def _with(filters: Filters, more: list[tuple[str, DataFrame]]) -> Filters:
     return out
 
 
+def _together(jobs: list[Callable]) -> list:
+    """Results of jobs that do not need each other; their Spark jobs run side by side."""
+    if len(jobs) < 2:
+        return [j() for j in jobs]
+    with ThreadPoolExecutor(len(jobs)) as pool:
+        return [f.result() for f in [pool.submit(j) for j in jobs]]
+
+
+def _levels(tree) -> list[list[Atom]]:
+    """Atoms by their distance from the root."""
+    depth: dict[Atom, int] = {}
+    for a in tree.order:
+        depth[a] = depth[tree.parent[a]] + 1 if a in tree.parent else 0
+    return [[a for a in tree.order if depth[a] == d] for d in range(max(depth.values()) + 1)]
+
+
 def upward(q: PathQuery, tree, g: LabeledGraph, filters: Filters, how: Evaluation) -> Messages:
     """From the leaves: each atom tells its parent which values of their common variable it can go on from."""
     made = Messages()
-    for a in reversed(tree.order):
+
+    def message(a: Atom) -> DataFrame | bool:
         under = _with(filters, [(tree.via[c], made.up[c]) for c in tree.children(a)])
-        if a is tree.root:
-            root = _relation(a, q.free, g, under, how)
-            made.relations[a] = how.scratch.table(root) if isinstance(root, DataFrame) and len(tree.order) > 1 else root
-        else:
-            made.up[a] = how.scratch.table(_unary(a, tree.via[a], g, under, how))
+        if a is not tree.root:
             how.note(stage="up", relation=str(a), var=tree.via[a])
+            return how.scratch.table(_unary(a, tree.via[a], g, under, how))
+        root = _relation(a, q.free, g, under, how)
+        return how.scratch.table(root) if isinstance(root, DataFrame) and len(tree.order) > 1 else root
+
+    for level in reversed(_levels(tree)[1:]):
+        made.up.update(zip(level, _together([lambda a=a: message(a) for a in level]), strict=True))
+    made.relations[tree.root] = message(tree.root)
     return made
 
 
 def downward(q: PathQuery, tree, g: LabeledGraph, made: Messages, filters: Filters, how: Evaluation, child_filters: bool = True) -> Messages:
     """From the root: each atom with a free variable under its parent's relation; and its children's messages, unless `child_filters` is off."""
-    for a in tree.order[1:]:
-        parent = made.relations.get(tree.parent[a])
-        if not a.ends & q.free or not isinstance(parent, DataFrame) or tree.via[a] not in parent.columns:
-            continue
-        made.down[a] = parent.select(F.col(tree.via[a]).alias("v")).distinct()
+
+    def relation(a: Atom) -> DataFrame | bool:
         own = [(tree.via[a], made.down[a])]
         if child_filters:
             own += [(tree.via[c], made.up[c]) for c in tree.children(a)]
-        made.relations[a] = how.scratch.table(_relation(a, q.free, g, _with(filters, own), how))
         how.note(stage="down", relation=str(a))
+        return how.scratch.table(_relation(a, q.free, g, _with(filters, own), how))
+
+    for level in _levels(tree)[1:]:
+        own = []
+        for a in level:
+            parent = made.relations.get(tree.parent[a])
+            if a.ends & q.free and isinstance(parent, DataFrame) and tree.via[a] in parent.columns:
+                made.down[a] = parent.select(F.col(tree.via[a]).alias("v")).distinct()
+                own.append(a)
+        made.relations.update(zip(own, _together([lambda a=a: relation(a) for a in own]), strict=True))
     return made
 
 
@@ -242,28 +271,73 @@ def evaluate(q: PathQuery, g: LabeledGraph, decomposition="auto", contract_first
     variables that are left are made free, the query is evaluated, and their columns
     are dropped; the bags' results are joined.  decomposition: 'auto' (least
     width), 'single' (one bag), or one of your own.  contract_first=False makes all bound join
-    variables free instead.
+    variables free instead.  Over a graph of closed parts all this is done within each part, in one job.
     """
     check_acyclic(q)
     how = how or new_evaluation(g)
+    if isinstance(decomposition, Decomposition):
+        decomposition.validate(q)
+    if how.budget is not None:
+        _within_budget(q, g, decomposition, how.budget)
+    if how.mode == "auto" and g.parted and not g.guards and not g.closed and contract_first and child_filters and order is None and skip_trivial_guards and not _has_guards(q):
+        return _by_parts(q, g, decomposition, how)
     memo: dict = {}
-    relations = []
+    # bags have one body: contracted one after the other, they find each other's filters
+    made = []
     for head in bag_heads(q, decomposition):
         own = q.with_head(head)
-        if contract_first:
-            c = contract(own, g, order, skip_trivial_guards, how, memo)
-        else:
-            c = Contracted(own, g, _constants(q, g), {}, (), ())
+        c = contract(own, g, order, skip_trivial_guards, how, memo) if contract_first else Contracted(own, g, _constants(q, g), {}, (), ())
+        made.append((own, c))
+
+    def result(own: PathQuery, c: Contracted) -> DataFrame | bool:
         found = _bag(own, c, how, contract_first, child_filters)
-        if found is False:
-            return _result(q, g, False)
-        if found is not True:
-            relations.append(found)
+        return how.scratch.table(found) if isinstance(found, DataFrame) and len(made) > 1 else found
+
+    results = _together([lambda m=m: result(*m) for m in made])
+    if any(r is False for r in results):
+        return _result(q, g, False)
+    relations = [r for r in results if r is not True]
     if not relations:
         return _result(q, g, True)
     if len(relations) == 1:
         return relations[0].select(*q.head)
-    return acyclic_join([how.scratch.table(r) for r in relations], list(q.head), reduced=True)
+    return acyclic_join(relations, list(q.head), reduced=True)
+
+
+def _has_guards(q: PathQuery) -> bool:
+    return any(isinstance(x, Guard) for a in q.atoms for x in letters(a.expr))
+
+
+def _by_parts(q: PathQuery, g: LabeledGraph, decomposition, how: Evaluation) -> DataFrame:
+    """Each connected part of the query within each closed part of the graph; then their product."""
+    out, parts = [], trees(q)
+    for atoms in parts:
+        used = {v for a in atoms for v in a.ends}
+        own = PathQuery(tuple(v for v in q.head if v in used), tuple(atoms), {v: c for v, c in q.constants.items() if v in used})
+        whole = decomposition if decomposition in ("auto", "single") else "auto"
+        found = evaluate_parts(own, g, bag_heads(own, whole))
+        how.note(stage="parts", relation=str(own))
+        if not own.head:
+            if not holds(found):
+                return _result(q, g, False)
+        else:
+            out.append(how.scratch.table(found) if len(parts) > 1 else found)
+    return reduce(natural, out).select(*q.head) if out else _result(q, g, True)
+
+
+def _within_budget(q: PathQuery, g: LabeledGraph, decomposition, budget: float) -> None:
+    """Raises if the driver's bound, for a result as large as the edges, is beyond the budget."""
+    size = g.stats(approx=True)
+    d = decomposition if isinstance(decomposition, Decomposition) else None
+    if decomposition == "single":
+        d = Decomposition((q.free, frozenset(q.vars)), ((0, 1),))
+    bound = cost_bounds(q, size["vertices"], size["edges"], size["edges"], size["edges"], d)["driver"]
+    if bound > budget:
+        raise BudgetError(f"the bound {bound:.3g} is beyond the budget {budget:.3g}")
+
+
+class BudgetError(RuntimeError):
+    """The bound of a query is beyond the budget that was given."""
 
 
 def _bag(own: PathQuery, c: Contracted, how: Evaluation, contracted: bool, child_filters: bool) -> DataFrame | bool:

@@ -28,6 +28,10 @@ GRAPHS = {
   UNION SELECT 'd' || doc_id, 'has_text', 't:' || md5(text) FROM documents
   UNION SELECT 'd' || doc_id, 'rated', 'q:' || quality FROM labels WHERE quality IS NOT NULL
   UNION SELECT 'd' || doc_id, 'quotes', 'b' || item_id FROM documents, benchmark WHERE contains(documents.text, benchmark.text))""",
+    "near": """g AS (SELECT src, label, dst FROM (
+  SELECT a.vec_id AS src, CASE WHEN a.label = b.label THEN 'same' ELSE 'diff' END AS label, b.vec_id AS dst,
+    row_number() OVER (PARTITION BY a.vec_id ORDER BY list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]) DESC, b.vec_id) AS r
+  FROM embeddings a, embeddings b WHERE a.vec_id <> b.vec_id) WHERE r <= 5)""",
 }
 VERTICES = "n AS (SELECT src AS v FROM g UNION SELECT dst FROM g)"
 

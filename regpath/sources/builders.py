@@ -202,6 +202,31 @@ def edges_range_join(rows: DataFrame, key: list[str], ts: str, vertex: str, seco
     return LabeledGraph.from_edges(met.select("src", F.lit(label).alias("label"), "dst"))
 
 
+def edges_interval(spans: DataFrame, points: DataFrame, key: list[str], start: str, vertex: str, ts: str, target: str, seconds: int, label: str) -> LabeledGraph:
+    """From each row of `spans` to the points of its key that fall in [start, start + seconds).
+
+    A span lies in two cells of that length at most, a point in one: cells make the interval an equality.
+    """
+    t, u = seconds_of(start), seconds_of(ts)
+    a = spans.select(*key, t.alias("_t"), F.col(vertex).alias("src"), F.explode(F.array(F.floor(t / seconds), F.floor(t / seconds) + 1)).alias("_cell"))
+    b = points.select(*key, u.alias("_u"), F.col(target).alias("dst"), F.floor(u / seconds).alias("_cell"))
+    met = a.join(b, [*key, "_cell"]).where((F.col("_u") >= F.col("_t")) & (F.col("_u") < F.col("_t") + seconds))
+    return LabeledGraph.from_edges(met.select("src", F.lit(label).alias("label"), "dst"))
+
+
+def cosine(a: Column, b: Column) -> Column:
+    """Cosine of two arrays, in double precision, without Python."""
+    dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda p, q: p.cast("double") * q.cast("double")), F.lit(0.0), lambda s, v: s + v)
+    return dot(a, b) / F.sqrt(dot(a, a) * dot(b, b))
+
+
+def cosine_edges(spark: SparkSession, sf_dir: str, k: int = 5) -> DataFrame:
+    """(src, label, dst, cosine): nearest neighbours with their cosine, recomputed from the vectors."""
+    g, v = near(spark, sf_dir, k).edges, read(spark, sf_dir, "embeddings").select("vec_id", "embedding")
+    both = g.join(v.select(F.col("vec_id").alias("src"), F.col("embedding").alias("_a")), "src").join(v.select(F.col("vec_id").alias("dst"), F.col("embedding").alias("_b")), "dst")
+    return both.select("src", "label", "dst", F.round(cosine(F.col("_a"), F.col("_b")), 4).alias("cosine"))
+
+
 def session_edges(rows: DataFrame, key: list[str], ts: str, vertex: str, tie: str, gap: str, label: str = "same_session") -> LabeledGraph:
     """From each row to the next of its session, which a gap ends."""
     w = Window.partitionBy(*key).orderBy(ts, tie)
