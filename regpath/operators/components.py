@@ -29,7 +29,8 @@ def connected_components(edges: DataFrame, scratch: Scratch | None = None, max_r
         if not mark[0]:
             break
         both = now.union(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        large = both.join(_to_least(both), "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        least = scratch.table(_to_least(both))  # written, so that Spark can split the join at a frequent node
+        large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
         large = large.where("u != v").distinct()
         small = large.join(_to_least(large), "u")
         small = small.select(F.col("v").alias("u"), F.col("m").alias("v")).union(small.select("u", F.col("m").alias("v")))
