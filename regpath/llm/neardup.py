@@ -197,16 +197,18 @@ def near_duplicates(docs: DataFrame, k: int = 2, percent: int = 80, key: str = "
     own = docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).alias("text"))
     sketched = scratch.table(own.mapInArrow(_sketched(k), "doc_id long, n_shingles long, d1 long, d2 long, bands array<long>"))
     ids = sketched.where("n_shingles > 0 and doc_id is not null").select("doc_id", "n_shingles", "d1", "d2")
-    classes = ids.groupBy("n_shingles", "d1", "d2").agg(F.min("doc_id").alias("rep"))
+    # written, so that the join behind has two plain shuffles, and Spark can split a class of a third of all rows
+    classes = scratch.table(ids.groupBy("n_shingles", "d1", "d2").agg(F.min("doc_id").alias("rep")))
     members = scratch.table(ids.join(classes.hint("merge"), ["n_shingles", "d1", "d2"]).select("doc_id", "n_shingles", "rep"))
 
     leaders = members.where("doc_id = rep").select("doc_id").distinct()
     keyed = sketched.join(leaders.hint("merge"), "doc_id", "left_semi").select(F.col("doc_id").alias("rep"), F.explode("bands").alias("band"))
     keyed = scratch.table(keyed)
-    hubs = keyed.groupBy("band").agg(F.min("rep").alias("hub"), F.max("rep").alias("other")).where("hub < other").select("band", "hub")
+    hubs = scratch.table(keyed.groupBy("band").agg(F.min("rep").alias("hub"), F.max("rep").alias("other")).where("hub < other").select("band", "hub"))
     met = keyed.join(hubs.hint("merge"), "band").select("hub", "rep").distinct()
     sent = scratch.table(met.join(members.groupBy("rep").agg(F.max("n_shingles").alias("n")).hint("merge"), "rep"))
     groups = sent.groupBy("hub").agg(F.greatest(F.ceil(F.count(F.lit(1)) / BLOCK_SETS), F.ceil(F.sum("n") / BLOCK_SHINGLES)).cast("int").alias("blocks"))
+    groups = scratch.table(groups)
     placed = sent.join(groups, "hub").withColumn("own", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
     placed = placed.withColumn("j", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     task = F.struct("hub", F.least("own", "j").alias("i"), F.greatest("own", "j").alias("j"), "own")
