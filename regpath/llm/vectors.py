@@ -168,7 +168,8 @@ def _verified(cosine: float):
                     if len(held) > 1:
                         settle(now, held, out)
                     now, held = (hub, i, j), []
-                held.append((vec, own, weight, x.copy(), hubs.copy()))
+                if not any(h[0] == vec and np.array_equal(h[3], x) for h in itertools.takewhile(lambda h, v=vec: h[0] == v, reversed(held))):
+                    held.append((vec, own, weight, x.copy(), hubs.copy()))
             if batch is None and len(held) > 1:
                 settle(now, held, out)
             if out:
@@ -194,7 +195,8 @@ def linked(vectors: DataFrame, cosine: float = COSINE, key: str = "vec_id", embe
     the least key of each shared code, where all that came are compared in
     double precision, large groups in blocks, two blocks a task.  A pair counts
     at the least key at which it meets.  Links go on as a spanning forest,
-    never as all pairs.  Repeated rows are one vector; rows without a key are left out.
+    never as all pairs.  Repeated rows are one vector; rows of one key and
+    different vectors link as each does; rows without a key are left out.
     """
     scratch = scratch or Scratch(vectors.sparkSession, "vectors")
     own = vectors.where(F.col(key).isNotNull()).select(F.col(key).cast("long").alias("vec_id"), F.col(embedding).alias("embedding"))
@@ -202,13 +204,14 @@ def linked(vectors: DataFrame, cosine: float = COSINE, key: str = "vec_id", embe
     depth, tables = plan(size[0], max(1, size[1] or 1))
     coded = scratch.table(own.mapInArrow(_coded(depth, tables), "vec_id long, d1 long, d2 long, codes array<long>"))
     ids = coded.select("vec_id", "d1", "d2").distinct()
-    classes = ids.groupBy("d1", "d2").agg(F.min("vec_id").alias("rep"), F.count(F.lit(1)).alias("weight"))
+    # tables that are joined with what they were counted from are written: two plain shuffles can be split where a key is frequent
+    classes = scratch.table(ids.groupBy("d1", "d2").agg(F.min("vec_id").alias("rep"), F.count(F.lit(1)).alias("weight")))
     members = scratch.table(ids.join(classes, ["d1", "d2"]).select("vec_id", "rep", "weight"))
     leaders = members.where("vec_id = rep").select("vec_id", "weight").distinct()
     keyed = scratch.table(coded.join(leaders, "vec_id").select(F.col("vec_id").alias("rep"), "weight", F.explode("codes").alias("code")))
-    hubs = keyed.groupBy("code").agg(F.min("rep").alias("hub"), F.max("rep").alias("other")).where("hub < other").select("code", "hub")
+    hubs = scratch.table(keyed.groupBy("code").agg(F.min("rep").alias("hub"), F.max("rep").alias("other")).where("hub < other").select("code", "hub"))
     sent = scratch.table(keyed.join(hubs, "code").select("hub", "rep", "weight").distinct())
-    groups = sent.groupBy("hub").agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("blocks"))
+    groups = scratch.table(sent.groupBy("hub").agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("blocks")))
     placed = sent.join(groups, "hub").withColumn("own", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
     # a vector has at most as many hubs as codes
     hubs_of = placed.groupBy("rep").agg(F.collect_list(F.struct("hub", "own", "blocks")).alias("at"), F.max("weight").alias("weight"))
