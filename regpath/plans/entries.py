@@ -10,8 +10,8 @@ from pyspark.sql import functions as F
 from regpath.functions import regex
 from regpath.operators import reach
 from regpath.plans import evaluate as ev
+from regpath.plans import measure, surface, workloads
 from regpath.plans import structure as st
-from regpath.plans import surface, workloads
 from regpath.plans.query import parse_query
 from regpath.plans.sql import GRAPHS as G
 from regpath.plans.sql import closure, conjunction, edge, query, then
@@ -504,6 +504,19 @@ def _work(spark: SparkSession, sf_dir: str) -> DataFrame:
 _add("measure_work", _work)
 
 
+def _costs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Time, shuffle and spill of the four-atom query by each method."""
+    g, e = _stored(spark, sf_dir, "timeline")
+    q = workloads.workload("four_atoms")
+    return measure.compared(spark, {
+        "parts": lambda: ev.evaluate(q, g, how=e), "free_connex": lambda: ev.eval_free_connex(q, g, how=e), "literal": lambda: ev.eval_free_connex(q, g, child_filters=False, how=e),
+        "materialise": lambda: ev.base_materialise(q, g, e), "hypertree": lambda: ev.base_hypertree(q, g, e),
+    })
+
+
+_add("measure_costs", _costs)
+
+
 # ---- around the methods
 
 
