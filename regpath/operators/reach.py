@@ -29,7 +29,8 @@ class Evaluation:
     mode: 'auto' or one of the three ways.  cap: targets a vertex may hold in the
     capped search, 'auto' to start at 16; it doubles as needed.  one_part: a graph
     without parts of up to so many edges counts as one part in itself.  budget: the
-    greatest bound that a query may have.  log: a dict of each evaluation.
+    greatest bound that a query may have.  direction: of searches for pairs, 'forward',
+    'backward', or 'auto' for backward where only the far end has a filter.  log: a dict of each evaluation.
     """
 
     scratch: Scratch
@@ -38,6 +39,7 @@ class Evaluation:
     max_rounds: int = 1_000_000
     one_part: int = 50_000
     budget: float | None = None
+    direction: str = "auto"
     log: list[dict] = field(default_factory=list)
 
     def way(self, g: LabeledGraph, a: Automaton) -> str:
@@ -97,9 +99,12 @@ def reach_nullary(g: LabeledGraph, e: PathExpr, x_in=(), y_in=(), require: bool
 def pairs_capped(g: LabeledGraph, e: PathExpr, x_in=(), y_in=(), require: bool = True, how: Evaluation | None = None) -> DataFrame:
     """(x, y): both ends of `e` under the filters; work follows the edges and the size of the result."""
     how = how or Evaluation(Scratch(g.edges.sparkSession, "reach"))
-    x, y, a = both_of(list(x_in)), both_of(list(y_in)), to_automaton(e)
     if not require:
         return _no_vertex(g).select(F.col("v").alias("x"), F.col("v").alias("y"))
+    if how.direction == "backward" or how.direction == "auto" and y_in and not x_in:
+        turned = pairs_capped(g, invert(e), y_in, x_in, True, replace(how, direction="forward"))
+        return turned.select(F.col("y").alias("x"), F.col("x").alias("y"))
+    x, y, a = both_of(list(x_in)), both_of(list(y_in)), to_automaton(e)
     way = how.way(g, a)
     if way == "unrolled":
         found = _unrolled(g, a, x, tagged=True, targets=y)

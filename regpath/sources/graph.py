@@ -37,6 +37,14 @@ class LabeledGraph:
         parts = spark.read.text(path).select(F.split(F.trim("value"), separator).alias("p")).where(F.size("p") == 3)
         return LabeledGraph.from_edges(parts.select(F.col("p")[0].alias("src"), F.col("p")[1].alias("label"), F.col("p")[2].alias("dst")))
 
+    @staticmethod
+    def from_files(spark: SparkSession, path: str, fmt: str = "parquet", schema: str | None = None, src: str = "src", label: str = "label", dst: str = "dst", **options) -> LabeledGraph:
+        """Edges from Parquet, ORC, JSON or CSV files; the latter two need a schema."""
+        if schema is None and fmt in ("csv", "json"):
+            raise ValueError(f"{fmt} files need a schema")
+        reader = spark.read.format(fmt).options(**options)
+        return LabeledGraph.from_edges((reader.schema(schema) if schema else reader).load(path), src, label, dst)
+
     @property
     def parted(self) -> bool:
         return "part" in self.edges.columns

@@ -111,6 +111,22 @@ def test_graph_sources_and_layouts(spark, tmp_path):
     assert got(reach.pairs_capped(both, parse_path("./^."), how=how)) == {(1, 1), (1, 3), (3, 1), (3, 3)}
 
 
+def test_files_and_directions(spark, tmp_path):
+    from regpath.plans.surface import write_result
+
+    rows = [(1, "a", 2), (2, "b", 3), (4, "a", 2)]
+    for fmt in ("parquet", "orc", "json", "csv"):
+        write_result(spark.createDataFrame(rows, "src long, label string, dst long"), str(tmp_path / fmt), fmt)
+        g = LabeledGraph.from_files(spark, str(tmp_path / fmt), fmt, "src long, label string, dst long")
+        assert got(g.edges) == set(rows)
+    with pytest.raises(ValueError):
+        LabeledGraph.from_files(spark, str(tmp_path / "csv"), "csv")
+    for direction in ("forward", "backward", "auto"):
+        how = reach.Evaluation(Scratch(spark), direction=direction)
+        assert got(reach.pairs_capped(g, parse_path("a/b"), [], [ones(spark, [3])], how=how)) == {(1, 3), (4, 3)}
+        assert got(reach.pairs_capped(g, parse_path("a/b?"), [ones(spark, [1])], [ones(spark, [2])], how=how)) == {(1, 2)}
+
+
 def test_components(spark):
     rng = random.Random(7)
     edges = [(rng.randrange(200), rng.randrange(200)) for _ in range(120)] + [(300 + i, 301 + i) for i in range(40)] + [(500, 500 + i) for i in range(50)]
