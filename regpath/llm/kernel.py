@@ -12,7 +12,8 @@ import numpy as np
 import pyarrow as pa
 
 U64 = np.uint64
-SEGMENT = 1 << 21
+#: Bytes hashed at once, and bytes of texts that are worked through together: an executor's Python stays small beside its heap.
+SEGMENT, PORTION = 1 << 19, 1 << 21
 _rng = np.random.Generator(np.random.PCG64(20240229))
 BYTE_VALUE = _rng.integers(1, 1 << 63, 256, dtype=np.uint64) | U64(1)
 PLACE_FACTOR = _rng.integers(1, 1 << 63, 64, dtype=np.uint64) | U64(1)
@@ -59,7 +60,7 @@ def bytes_of(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return held, off - off[0]
 
 
-def portions(texts: pa.Array, most: int = 2 * SEGMENT) -> Iterator[tuple[int, int]]:
+def portions(texts: pa.Array, most: int = PORTION) -> Iterator[tuple[int, int]]:
     """Row ranges of about `most` bytes each; a longer text is a range of its own."""
     off = bytes_of(texts)[1]
     at = 0
