@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from regpath.llm.common import digest, draw, table
@@ -50,26 +50,37 @@ def _numbers(node: Node) -> list[int]:
     return [node.shard] if node.shard is not None else [n for c in node.children for n in _numbers(c)]
 
 
-def shard_of(key: Column, tree: Node, seed: str = "shard") -> Column:
-    """The shard of a key: at each level the child with the greatest ln(draw) / weight.
+def with_shard(rows: DataFrame, key: str, tree: Node, out: str = "shard", seed: str = "shard") -> DataFrame:
+    """Adds the shard of each key: at each level the child with the greatest ln(draw) / weight.
 
     A child's draw depends on the key and its name alone.  A change of weight
     moves rows only to or from the subtrees whose weight changes.  Children of
-    weight 0 get nothing.  Null keys are one key.
+    weight 0 get nothing.  Null keys are one key.  Levels are columns of their
+    own, and each node's draw stands in the plan once.
     """
-    if tree.shard is not None:
-        return F.lit(tree.shard)
-    live = [c for c in tree.children if c.weight > 0]
-    if not live:
+    if tree.weight <= 0:
         raise ValueError(f"{tree.name} has no weight")
-    if len(live) == 1:
-        return shard_of(key, live[0], seed)
-    scores = [F.struct((F.log(draw(seed, c.name, key) + F.lit(2.0**-53)) / F.lit(float(c.weight))).alias("score"), F.lit(i).alias("i")) for i, c in enumerate(live)]
-    best = F.array_max(F.array(*scores))["i"]
-    pick = F.when(best == 0, shard_of(key, live[0], seed))
-    for i, c in enumerate(live[1:], 1):
-        pick = pick.when(best == i, shard_of(key, c, seed))
-    return pick
+    names, at, level, leaves, n = rows.columns, f"_at_{out}", [(0, tree)], {}, 1
+    placed = rows.withColumn(at, F.lit(0))
+    while level:
+        below, choice = [], None
+        for number, node in level:
+            if node.shard is not None:
+                leaves[number] = node.shard
+                continue
+            scores = []
+            for child in (c for c in node.children if c.weight > 0):
+                score = F.log(draw(seed, child.name, F.col(key)) + F.lit(2.0**-53)) / F.lit(float(child.weight))
+                scores.append(F.struct(score.alias("score"), F.lit(-n).alias("i")))
+                below.append((n, child))
+                n += 1
+            best = -F.array_max(F.array(*scores))["i"] if len(scores) > 1 else F.lit(n - 1)
+            choice = F.when(F.col(at) == number, best) if choice is None else choice.when(F.col(at) == number, best)
+        if choice is not None:
+            placed = placed.withColumn(at, choice.otherwise(F.col(at)))
+        level = below
+    shards = F.array(*[F.lit(leaves.get(i, -1)) for i in range(n)])
+    return placed.select(*names, shards[F.col(at)].cast("int").alias(out))
 
 
 def with_slots(rows: DataFrame, shard: str, key: list[str], slot: str = "slot") -> DataFrame:
@@ -101,8 +112,9 @@ def assign(docs: DataFrame, tree: Node, key: str = "doc_id", text: str = "text",
     body = F.coalesce(F.col(text), F.lit(""))
     rows = docs.select(
         F.col(key).alias(key), (F.octet_length(body) + 1).cast("long").alias("size"), F.crc32(body.cast("binary")).cast("long").alias("text_crc32"), F.lit("key").alias("law"),
-        shard_of(F.col(key), tree, seed).cast("int").alias("shard"), (shard_of(F.col(key), grown, seed) if grown else F.lit(None)).cast("int").alias("grown_shard"),
     )
+    rows = with_shard(rows, key, tree, "shard", seed)
+    rows = with_shard(rows, key, grown, "grown_shard", seed) if grown else rows.withColumn("grown_shard", F.lit(None).cast("int"))
     return with_slots(rows, "shard", [key, "size", "text_crc32"]).select(key, "size", "text_crc32", "law", "shard", "slot", "grown_shard")
 
 

@@ -212,7 +212,7 @@ def test_sharding_moves_rows_within_changed_subtrees(spark):
     keys = spark.range(4000)
     tree = sharding.tree_of(16)
     heavier = sharding.Node("all", tuple(sharding.Node(r.name, tuple(sharding.Node(k.name, tuple(sharding.Node(s.name, shard=s.shard, own=3.0 if s.shard == 9 else 1.0) for s in k.children)) for k in r.children)) for r in tree.children))
-    moved = keys.select(sharding.shard_of(keys.id, tree).alias("a"), sharding.shard_of(keys.id, heavier).alias("b")).where("a != b").collect()
+    moved = sharding.with_shard(sharding.with_shard(keys, "id", tree, "a"), "id", heavier, "b").where("a != b").collect()
     assert moved and all(r["b"] // 8 == 1 for r in moved)  # only into the region whose weight grew
     assert all(r["b"] == 9 for r in moved if r["a"] // 4 == 2)
 
