@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from regpath.functions.regex import Automaton, Guard, PathExpr, invert, nullable, to_automaton
+from regpath.functions.regex import Automaton, Guard, PathExpr, Step, invert, nullable, to_automaton
 from regpath.operators.scratch import Scratch
 from regpath.sources.graph import LabeledGraph
 
@@ -101,7 +101,7 @@ def pairs_capped(g: LabeledGraph, e: PathExpr, x_in=(), y_in=(), require: bool =
     how = how or Evaluation(Scratch(g.edges.sparkSession, "reach"))
     if not require:
         return _no_vertex(g).select(F.col("v").alias("x"), F.col("v").alias("y"))
-    if how.direction == "backward" or how.direction == "auto" and y_in and not x_in:
+    if how.direction == "backward" or how.direction == "auto" and not x_in and (y_in or _fewer_targets(g, to_automaton(e), how)):
         turned = pairs_capped(g, invert(e), y_in, x_in, True, replace(how, direction="forward"))
         return turned.select(F.col("y").alias("x"), F.col("x").alias("y"))
     x, y, a = both_of(list(x_in)), both_of(list(y_in)), to_automaton(e)
@@ -121,6 +121,32 @@ def pairs_capped(g: LabeledGraph, e: PathExpr, x_in=(), y_in=(), require: bool =
     return found.select(F.col("s").alias("x"), F.col("v").alias("y")).distinct()
 
 
+def _fewer_targets(g: LabeledGraph, a: Automaton, how: Evaluation) -> bool:
+    """For an expression of three letters and more without repetition: whether fewer vertices can end than can start a walk.
+
+    Rows in between are pairs with the end from which the search goes, so the
+    smaller side keeps them few.  One pass over the edges, with estimated counts.
+    """
+    order = a.layers()
+    if how.mode not in ("auto", "unrolled") or order is None or a.states < 4:
+        return False
+    first = [x for q, x, _ in a.transitions if q == 0 and isinstance(x, Step)]
+    last = [x for _, x, p in a.transitions if p in a.finals and isinstance(x, Step)]
+    if not first or not last or a.finals & {0}:
+        return False
+
+    def ends(steps: list[Step], start: bool):
+        out = None
+        for s in steps:
+            column = F.col("src" if start != (s.inverse and not g.closed) else "dst")
+            one = F.when(g.takes(s), column)
+            out = one if out is None else F.coalesce(out, one)
+        return F.approx_count_distinct(out)
+
+    n = g.edges.agg(ends(first, True), ends(last, False)).first()
+    return n[1] < n[0]
+
+
 def _no_vertex(g: LabeledGraph) -> DataFrame:
     return g.edges.where(F.lit(False)).select(F.col("src").alias("v"))
 
