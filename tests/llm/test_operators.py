@@ -305,6 +305,37 @@ def test_passages(spark):
     passages.shared_passages(odd(spark)).collect()
 
 
+def test_passages_of_large_groups(spark):
+    """Every document that has a partner is found, whichever holds a seed first or last, by pairs and by blocks."""
+    rng = random.Random(31)
+    shared = words(rng, 60)
+    texts = []
+    for _ in range(40):
+        own = list(shared)
+        for i in rng.sample(range(60), 5):
+            own[i] = words(rng, 1)[0]
+        texts.append(words(rng, 30) + own + words(rng, 30))
+    row, place, seed = passages.minimizers(*kernel.word_hashes(*kernel.bytes_of(pa.array([" ".join(t) for t in texts])), kernel.MARKS))
+    places = [dict(zip(seed[row == i].tolist(), place[row == i].tolist(), strict=True)) for i in range(40)]
+
+    def alike(i, j):
+        x, y, met = np.array(texts[i]), np.array(texts[j]), sorted(places[i].keys() & places[j].keys())
+        p, q = np.array([places[i][m] for m in met], dtype=int), np.array([places[j][m] for m in met], dtype=int)
+        for c in passages.chains(p, q) if met else []:
+            a0, a1, b0, b1 = p[c[0]], p[c[-1]] + passages.K, q[c[0]], q[c[-1]] + passages.K
+            if len(c) >= passages.CHAIN_SEEDS and a1 - a0 >= passages.CHAIN_WORDS:
+                left, right = passages.extended(x[:a0][::-1], y[:b0][::-1]), passages.extended(x[a1:], y[b1:])
+                if a1 - a0 + left + right >= 50 and passages.equal_words(x[a0 - left : a1 + right], y[b0 - left : b1 + right]) >= 0.8 * (a1 - a0 + left + right):
+                    return True
+        return False
+
+    due = {i for i in range(40) if any(i != j and alike(i, j) for j in range(40))}
+    docs = docs_of(spark, [" ".join(t) for t in texts])
+    for how in ({}, {"all_pairs": 3, "block": 7}, {"all_pairs": 3}):
+        got = {d for r in passages.shared_passages(docs, **how).collect() for d in (r["doc_a"], r["doc_b"])}
+        assert len(due) > 20 and due <= got
+
+
 def test_every_long_exact_repeat_is_found(spark, sf):
     rows = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").collect()
     import re
