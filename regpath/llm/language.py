@@ -8,19 +8,19 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from regpath.llm import kernel
-from regpath.llm.common import digest, if_small, table
+from regpath.llm.common import if_small, table
 from regpath.llm.lines import host_of, lines_of
 from regpath.operators.scratch import Scratch
 
 CODES = 1 << 15
-#: The text model is fitted on at most so many rows with a declared language, those of the least hash.
+#: The text model is fitted on about so many rows with a declared language: an equal part for each language, its rows of the least hash.
 FIT_ROWS = 3_000
-#: A language needs so many of them, and no more languages than these are told apart.
-FIT_LEAST, LANGUAGES = 5, 64
+#: A language needs so many rows of all, and has up to so many in the sample at least.
+FIT_LEAST, FIT_EACH = 5, 200
 #: Trigrams beyond so many add no more certainty: they are far from independent.
 EVIDENCE = 40.0
 DECLARED_RIGHT, SUFFIX_RIGHT, UNKNOWN = 0.9, 0.8, 1e-3
@@ -75,19 +75,35 @@ def _counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 own[:CODES] += np.bincount(code[off[row] : off[row + 1]], minlength=CODES)
                 own[CODES] += 1
     for name, own in counts.items():
-        yield pa.RecordBatch.from_arrays([pa.array([name]), pa.array([own.tolist()], pa.list_(pa.int64()))], names=["declared", "counts"])
+        yield pa.RecordBatch.from_arrays([pa.array([name]), pa.array([own.tobytes()], pa.binary())], names=["declared", "counts"])
+
+
+def _sample(rows: DataFrame, counts: dict[str, int], each: int) -> DataFrame:
+    """Of each counted language the `each` rows of least hash; of frequent ones, only hashes that can be among them are sorted."""
+    bounds = [(n, min(1.0, (2 * each + 40) / c)) for n, c in counts.items()]
+    bounded = rows.join(F.broadcast(rows.sparkSession.createDataFrame(bounds, "declared string, share double")), "declared")
+    near = bounded.withColumn("h", F.xxhash64("key", "text", F.lit("language")))
+    near = near.where((F.col("share") >= 1) | (F.col("h").cast("double") / F.lit(float(1 << 64)) + 0.5 < F.col("share")))
+    place = F.row_number().over(Window.partitionBy("declared").orderBy("h", "key", "text"))
+    return near.withColumn("place", place).where(F.col("place") <= each).select("declared", "text")
 
 
 def fit(rows: DataFrame, fit_rows: int = FIT_ROWS) -> TextModel:
-    """A model of (key, text, declared) rows, from a bounded sample fixed by the keys."""
-    sample = rows.where(F.col("declared").isNotNull() & (F.col("declared") != "")).select("key", digest("language", F.col("key")).alias("h")).orderBy("h", "key").limit(fit_rows)
-    chosen = rows.join(F.broadcast(sample.select("key").distinct()), "key").where(F.col("declared").isNotNull() & (F.col("declared") != ""))
-    parts = chosen.select("declared", "text").repartition(4).mapInArrow(_counted, "declared string, counts array<long>").collect()
+    """A model of (key, text, declared) rows: languages by counts of all rows, each fitted on a bounded sample of its own."""
+    said = rows.select("key", "text", F.lower("declared").alias("declared")).where("declared is not null and declared != ''")
+    by_name = said.groupBy("declared").count()
+    counts = {r["declared"]: r["count"] for r in by_name.where(F.col("count") >= FIT_LEAST).collect()}
+    if not counts:
+        only = by_name.limit(2).collect()
+        counts = {r["declared"]: r["count"] for r in only} if len(only) == 1 else {}
+    names = tuple(sorted(counts))
     total: dict[str, np.ndarray] = {}
-    for p in sorted(parts, key=lambda p: p["declared"]):
-        total[p["declared"]] = total.get(p["declared"], 0) + np.array(p["counts"])
-    often = sorted((n for n in total if total[n][CODES] >= FIT_LEAST or len(total) == 1), key=lambda n: (-total[n][CODES], n))[:LANGUAGES]
-    names = tuple(sorted(often))
+    each = max(FIT_EACH, fit_rows // max(1, len(names)))
+    for again in (False, True):  # equal rows have equal hashes, which can all lie beyond the bound: such languages are sorted whole
+        left = {n: 1 for n in names if n not in total or total[n][CODES] < min(FIT_LEAST, counts[n])} if again else counts
+        if left:
+            parts = _sample(said, left, each).repartition(4, "declared").mapInArrow(_counted, "declared string, counts binary").collect()
+            total |= {p["declared"]: np.frombuffer(p["counts"], dtype=np.int64) for p in parts}
     logs = [np.log((total[n][:CODES] + 0.1) / (total[n][:CODES].sum() + 0.1 * CODES)) for n in names]
     return TextModel(names, np.array([*logs, np.full(CODES, -math.log(CODES))], dtype=np.float64))
 

@@ -481,6 +481,18 @@ def test_language_evidence(spark):
     assert kept.columns == odd(spark).columns
 
 
+def test_rare_languages_and_many_are_known(spark):
+    rng = random.Random(12)
+    speech = [words(rng, 40) for _ in range(70)]
+    text = lambda i: " ".join(rng.choice(speech[i]) for _ in range(60))
+    rows = [(i, text(0), "l0", None, "h") for i in range(9_000)] + [(10_000 + i, text(1), "l1", None, "h") for i in range(6)]
+    df = spark.createDataFrame(rows, "key long, text string, declared string, suffix string, host string")
+    assert language.fit(df).languages == ("l0", "l1")
+    assert {r["language"] for r in language.identify(df).where("key >= 10000").collect()} == {"l1"}
+    many = spark.createDataFrame([(10 * i + j, text(i), f"l{i}", None, f"h{i}") for i in range(70) for j in range(6)], df.schema)
+    assert len(language.fit(many).languages) == 70
+
+
 # ---- all
 
 
