@@ -287,6 +287,10 @@ def words(rng, n):
     return ["".join(rng.choice("abcdefghijklmnop") for _ in range(5)) for _ in range(n)]
 
 
+def pairs_of(spark, texts, **how):
+    return passages.shared_passages(docs_of(spark, texts), **how)
+
+
 def test_passages(spark):
     rng = random.Random(6)
     shared = words(rng, 80)
@@ -295,45 +299,79 @@ def test_passages(spark):
         " ".join(words(rng, 60) + shared + words(rng, 30)), " ".join(words(rng, 5) + fuzzy + words(rng, 90)), " ".join(words(rng, 200)), " ".join(words(rng, 40) + shared[:30] + words(rng, 40)), None, "", " ".join(shared).upper().replace(" ", ", "),
         "same words " * 40, "Same words! " * 40, "few words", "few words",
     ]
-    got = {(r["doc_a"], r["doc_b"]): r for r in passages.shared_passages(docs_of(spark, texts)).collect()}
+    found = pairs_of(spark, texts)
+    got = {(r["doc_a"], r["doc_b"]): r for r in found.collect()}
     assert set(got) == {(0, 1), (0, 6), (1, 6), (7, 8)}
     r = got[0, 6]
     assert (r["start_a"], r["words_a"], r["start_b"], r["words_b"], r["similarity"]) == (60, 80, 0, 80, 1.0)
     r = got[0, 1]
     assert (r["start_a"], r["words_a"], r["start_b"], r["words_b"], r["n_equal"]) == (60, 80, 5, 79, 76)
-    assert passages.shared_passages(nothing(spark)).count() == 0
-    passages.shared_passages(odd(spark)).collect()
-
-
-def test_passages_of_large_groups(spark):
-    """Every document that has a partner is found, whichever holds a seed first or last, by pairs and by blocks."""
-    rng = random.Random(31)
-    shared = words(rng, 60)
-    texts = []
-    for _ in range(40):
-        own = list(shared)
-        for i in rng.sample(range(60), 5):
-            own[i] = words(rng, 1)[0]
-        texts.append(words(rng, 30) + own + words(rng, 30))
-    row, place, seed = passages.minimizers(*kernel.word_hashes(*kernel.bytes_of(pa.array([" ".join(t) for t in texts])), kernel.MARKS))
-    places = [dict(zip(seed[row == i].tolist(), place[row == i].tolist(), strict=True)) for i in range(40)]
-
-    def alike(i, j):
-        x, y, met = np.array(texts[i]), np.array(texts[j]), sorted(places[i].keys() & places[j].keys())
-        p, q = np.array([places[i][m] for m in met], dtype=int), np.array([places[j][m] for m in met], dtype=int)
-        for c in passages.chains(p, q) if met else []:
-            a0, a1, b0, b1 = p[c[0]], p[c[-1]] + passages.K, q[c[0]], q[c[-1]] + passages.K
-            if len(c) >= passages.CHAIN_SEEDS and a1 - a0 >= passages.CHAIN_WORDS:
-                left, right = passages.extended(x[:a0][::-1], y[:b0][::-1]), passages.extended(x[a1:], y[b1:])
-                if a1 - a0 + left + right >= 50 and passages.equal_words(x[a0 - left : a1 + right], y[b0 - left : b1 + right]) >= 0.8 * (a1 - a0 + left + right):
-                    return True
-        return False
-
-    due = {i for i in range(40) if any(i != j and alike(i, j) for j in range(40))}
-    docs = docs_of(spark, [" ".join(t) for t in texts])
-    for how in ({}, {"all_pairs": 3, "block": 7}, {"all_pairs": 3}):
-        got = {d for r in passages.shared_passages(docs, **how).collect() for d in (r["doc_a"], r["doc_b"])}
-        assert len(due) > 20 and due <= got
+    spans = {r["doc_id"]: (r["start"], r["n_words"], r["partner_id"], r["n_found"]) for r in passages.repeated_spans(found).collect()}
+    assert spans == {0: (60, 80, 1, 2), 1: (5, 79, 0, 2), 6: (0, 80, 0, 2), 7: (0, 80, 8, 1), 8: (0, 80, 7, 1)}
+    assert pairs_of(spark, []).count() == 0 and passages.repeated_spans(pairs_of(spark, [])).count() == 0
+    assert {(r["doc_a"], r["doc_b"]) for r in passages.shared_passages(odd(spark)).collect()} == set()
+    with pytest.raises(ValueError):
+        pairs_of(spark, texts, least_words=10)
+
+
+@pytest.mark.parametrize("fragment", [10, 19, 30, 45])
+@pytest.mark.parametrize("copies", [4, 60])
+def test_passages_beside_fragments(spark, fragment, copies):
+    """Verbatim passages in documents between others that hold parts of them: every one is found, in rare and in frequent seeds."""
+    rng = random.Random(fragment)
+    shared, texts, due = [words(rng, 60) for _ in range(12)], [], set()
+
+    def fragments():
+        for p in shared:
+            for _ in range(3 if copies == 4 else 40):
+                at = rng.randrange(60 - fragment + 1)
+                texts.append(words(rng, 20) + p[at : at + fragment] + words(rng, 20))
+
+    fragments()
+    for p in shared:
+        for _ in range(copies):
+            due.add(len(texts))
+            texts.append(words(rng, rng.randrange(30)) + p + words(rng, rng.randrange(30)))
+    fragments()
+    got = {r["doc_id"]: r for r in passages.repeated_spans(pairs_of(spark, [" ".join(t) for t in texts])).collect()}
+    assert set(got) == due and all(r["n_words"] >= 60 for r in got.values())
+
+
+@pytest.mark.parametrize(("copies", "share", "least"), [(2, 0.95, 0.9), (2, 0.9, 0.9), (2, 0.85, 0.9), (40, 0.8, 0.9), (100, 0.8, 0.9)])
+def test_fuzzy_passages(spark, copies, share, least):
+    """Passages of 60 words with scattered edits; in larger groups each text has half of them, so that any two agree in `share`."""
+    rng, texts = random.Random(7), []
+    for _ in range(40 if copies == 2 else 2):
+        shared = words(rng, 60)
+        for i in range(copies):
+            own = list(shared)
+            if copies > 2 or i:
+                for j in rng.sample(range(60), round(60 * (1 - share) * (1 if copies == 2 else 0.5))):
+                    own[j] = words(rng, 1)[0]
+            texts.append(words(rng, 30) + own + words(rng, 30))
+    got = {r["doc_id"] for r in passages.repeated_spans(pairs_of(spark, [" ".join(t) for t in texts])).collect()}
+    assert len(got) >= least * len(texts)
+
+
+@pytest.mark.parametrize("period", [6, 10, 15])
+def test_passages_of_repeated_lines(spark, period):
+    rng, texts = random.Random(period), []
+    for _ in range(10):
+        line = words(rng, period)
+        texts += [words(rng, 40) + line * (200 // period) + words(rng, 40) for _ in range(2)]
+    got = collections.Counter()
+    for r in passages.repeated_spans(pairs_of(spark, [" ".join(t) for t in texts])).collect():
+        got[r["doc_id"]] += r["n_words"]
+    assert len(got) == len(texts) and min(got.values()) >= 130
+
+
+def test_passages_of_columns():
+    same = np.array([0] * 5 + [1] * 60 + [0] * 9 + [1] * 8 + [0] * 40 + [1, 1, 1, 1, 0] * 12 + [0] * 3, dtype=bool)
+    assert passages.passages_within(same, 50, 0.8) == [(5, 82), (122, 181)]
+    a = np.arange(100)
+    b = np.concatenate([a[:30], [900, 901], a[30:70], [902], a[71:]])
+    xs, ys, equal = passages.columns_of(a, b, np.array([10, 25, 30, 60]), np.array([10, 25, 32, 62]))
+    assert (len(xs), int(equal.sum()), int(xs[0]), int(ys[-1])) == (102, 99, 0, 101)
 
 
 def test_every_long_exact_repeat_is_found(spark, sf):
@@ -347,8 +385,7 @@ def test_every_long_exact_repeat_is_found(spark, sf):
             having[tuple(w[p : p + 50])].add(d)
     covered = collections.defaultdict(set)
     for r in passages.op8_shared_passages(spark, sf).collect():
-        for d, s, n in ((r["doc_a"], r["start_a"], r["words_a"]), (r["doc_b"], r["start_b"], r["words_b"])):
-            covered[d] |= set(range(s, s + n))
+        covered[r["doc_id"]] |= set(range(r["start"], r["start"] + r["n_words"]))
     assert having
     for d, w in texts.items():
         for p in range(len(w) - 49):
