@@ -1,7 +1,8 @@
 """Word and shingle hashes of many whole texts at once, straight from Arrow's bytes.
 
 Nothing here makes a Python object for a word.  Bytes are worked through in
-segments cut where a word ends, so memory does not grow with a text's length.
+segments cut where a word ends.  What a caller keeps of a text, such as a hash for each
+word, grows with its length; `word_segments` lets it keep less.
 """
 
 from __future__ import annotations
@@ -10,6 +11,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 
 U64 = np.uint64
 #: Bytes hashed at once, and bytes of texts that are worked through together: an executor's Python stays small beside its heap.
@@ -50,19 +52,24 @@ def mixed(h: np.ndarray) -> np.ndarray:
 
 
 def bytes_of(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-    """All bytes of the texts in a row, and the n + 1 offsets; null counts as empty."""
-    texts = texts.cast(pa.large_string()).fill_null("")
+    """All bytes of the texts in a row, and the n + 1 offsets; null counts as empty.  Strings without nulls are not copied."""
     if isinstance(texts, pa.ChunkedArray):
         texts = texts.combine_chunks()
+    if not (pa.types.is_string(texts.type) or pa.types.is_large_string(texts.type)):
+        texts = texts.cast(pa.large_string())
+    if texts.null_count:
+        texts = texts.fill_null("")
     _, offsets, data = texts.buffers()
-    off = np.frombuffer(offsets, dtype=np.int64)[texts.offset : texts.offset + len(texts) + 1] if len(texts) else np.zeros(1, dtype=np.int64)
+    kind = np.int64 if pa.types.is_large_string(texts.type) else np.int32
+    off = np.frombuffer(offsets, dtype=kind)[texts.offset : texts.offset + len(texts) + 1].astype(np.int64) if len(texts) else np.zeros(1, dtype=np.int64)
     held = np.frombuffer(data, dtype=np.uint8)[off[0] : off[-1]] if data is not None else np.zeros(0, dtype=np.uint8)
     return held, off - off[0]
 
 
-def portions(texts: pa.Array, most: int = PORTION) -> Iterator[tuple[int, int]]:
-    """Row ranges of about `most` bytes each; a longer text is a range of its own."""
-    off = bytes_of(texts)[1]
+def portions(texts: pa.Array, most: int | None = None) -> Iterator[tuple[int, int]]:
+    """Row ranges of about `most` bytes each (PORTION without it); a longer text is a range of its own."""
+    sizes = pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+    off, most = np.concatenate([[0], np.cumsum(sizes)]), most or PORTION
     at = 0
     while at < len(texts):
         to = max(at + 1, int(np.searchsorted(off, off[at] + most, "right")) - 1)
@@ -70,9 +77,9 @@ def portions(texts: pa.Array, most: int = PORTION) -> Iterator[tuple[int, int]]:
         at = to
 
 
-def word_hashes(data: np.ndarray, off: np.ndarray, breaks: np.ndarray = SPACES) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes of all words in order, and the n + 1 offsets of the texts' words.  A-Z count as a-z."""
-    hashes, starts, at, n = [], [], 0, len(data)
+def word_segments(data: np.ndarray, off: np.ndarray, breaks: np.ndarray = SPACES) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(hashes, first bytes) of all words in order, segment by segment.  A-Z count as a-z."""
+    at, n = 0, len(data)
     while at < n:
         to = min(n, at + SEGMENT)
         while to < n:  # a segment ends behind a break
@@ -92,12 +99,25 @@ def word_hashes(data: np.ndarray, off: np.ndarray, breaks: np.ndarray = SPACES)
         begin, end = np.flatnonzero(word & first), np.flatnonzero(word & last) + 1
         upto = np.zeros(to - at + 1, dtype=np.uint64)
         np.cumsum(BYTE_VALUE[low] * _power("up", to - at), out=upto[1:])
-        hashes.append(mixed((upto[end] - upto[begin]) * _power("down", to - at)[begin] + (end - begin).astype(np.uint64)))
-        starts.append(begin + at)
+        yield mixed((upto[end] - upto[begin]) * _power("down", to - at)[begin] + (end - begin).astype(np.uint64)), begin + at
         at = to
-    if not hashes:
+
+
+def word_hashes(data: np.ndarray, off: np.ndarray, breaks: np.ndarray = SPACES) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of all words in order, and the n + 1 offsets of the texts' words."""
+    found = list(word_segments(data, off, breaks))
+    if not found:
         return np.zeros(0, dtype=np.uint64), np.zeros(len(off), dtype=np.int64)
-    return np.concatenate(hashes), np.searchsorted(np.concatenate(starts), off)
+    return np.concatenate([h for h, _ in found]), np.searchsorted(np.concatenate([b for _, b in found]), off)
+
+
+def byte_counts(data: np.ndarray, off: np.ndarray, kind: np.ndarray) -> np.ndarray:
+    """How many bytes of a kind, given as 256 truth values, each text has."""
+    out = np.zeros(len(off) - 1, dtype=np.int64)
+    for at in range(0, len(data), SEGMENT):
+        there = np.flatnonzero(kind[data[at : at + SEGMENT]]) + at
+        out += np.diff(np.searchsorted(there, off))
+    return out
 
 
 def _joined(words: np.ndarray, at: np.ndarray, k: int) -> np.ndarray:
@@ -107,6 +127,24 @@ def _joined(words: np.ndarray, at: np.ndarray, k: int) -> np.ndarray:
     return mixed(h)
 
 
+def runs_of(words: np.ndarray, k: int) -> np.ndarray:
+    """The hash of the k words from each place on, as `_joined` has it; texts' ends play no part."""
+    n = max(0, len(words) - k + 1)
+    h = np.full(n, PLACE_FACTOR[63 - k], dtype=np.uint64)
+    for j in range(k):
+        h += words[j : j + n] * PLACE_FACTOR[j]
+    return mixed(h)
+
+
+def power_of(exponents: np.ndarray) -> np.ndarray:
+    """BASE, or for negative ones its inverse, to the power of each exponent."""
+    out, left, step = np.ones(len(exponents), dtype=np.uint64), np.abs(exponents).astype(np.uint64), np.where(exponents < 0, INVERSE, BASE)
+    while left.any():
+        out = np.where(left & U64(1), out * step, out)
+        left, step = left >> U64(1), step * step
+    return out
+
+
 def shingles(words: np.ndarray, off: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
     """Hashes of each text's runs of k words, in order, and offsets; a text of 1 to k - 1 words has its whole sequence as one."""
     n = np.diff(off)

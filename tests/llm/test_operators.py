@@ -30,6 +30,55 @@ def odd(spark):
     return spark.createDataFrame([(*r, *[None] * 12) for r in rows], CLASH)
 
 
+#: Names that operators and stages use inside, beside those of CLASH.
+INNER = (
+    "key", "text_", "row", "mark", "h", "s", "b", "c0", "c1", "at", "start", "size", "crc", "grown", "slot", "shard", "place", "upto", "draws", "mix_source", "mix_text", "mix_key", "copy", "copy_no", "copy_no_", "row_key", "_mark", "_no", "rejected", "_key", "_words",
+    "words", "hit", "declared", "suffix", "host", "scores", "language", "posterior", "accepted", "held_out", "score", "predicted", "n_words", "d1", "d2", "met", "often", "star", "gap", "doc_a", "doc_b", "_id", "other", "band", "kept", "n_shingles", "component_id", "tasks", "own", "i", "j", "q", "told", "w",
+)
+
+
+def crowded(spark):
+    """Some documents, with an extra column for each name used inside."""
+    rng = random.Random(2)
+    texts = [" ".join(words(rng, 70)) for _ in range(6)]
+    texts += [texts[0] + " end", texts[1], "the and of " * 30, "released under the mit license", None, ""]
+    rows = [(i, t, "en", f"s{i % 2}", 5, *[f"{n}{i}" for n in INNER]) for i, t in enumerate(texts)]
+    return spark.createDataFrame(rows, DOCS + "".join(f", `{n}` string" for n in INNER))
+
+
+def test_crowded_columns(spark):
+    docs = crowded(spark)
+    plain = docs.select("doc_id", "text", "lang", "source", "n_chars")
+    bench = spark.createDataFrame([(1, " ".join(words(random.Random(2), 40)))], "item_id long, text string")
+    tree, machine = sharding.tree_of(3), quality.fit([])
+    same = {
+        "scan": licenses.scan, "overlaps": lambda d: decontaminate.overlaps(d, bench), "assign": lambda d: sharding.assign(d, tree, grown=sharding.with_region(tree, 1, "r2")), "classify": lambda d: quality.classify(d, machine),
+        "passages": lambda d: passages.repeated_spans(passages.shared_passages(d)), "near": neardup.near_duplicates, "identify": lambda d: language.identify(language.of_documents(d)),
+    }
+    for name, f in same.items():
+        a, b = f(docs), f(plain)
+        assert a.columns == b.columns and collections.Counter(map(str, a.collect())) == collections.Counter(map(str, b.collect())), name
+    inner = lambda r: [r[n] for n in INNER]
+    mixed = mixing.mix(docs, weights={"s0": 1.0, "s1": 3.0})
+    assert mixed.columns == [*docs.columns, "copy_no__", "mix_key_"]
+    for out in (mixed, language.keep_identified(docs), decontaminate.clean(docs, bench), neardup.keep_one(docs), neardup.keep_one(docs.union(docs.limit(3)))):
+        assert out.columns[: len(docs.columns)] == docs.columns and out.count()
+        assert all(inner(r) == [f"{n}{r['doc_id']}" for n in INNER] for r in out.collect())
+    assert {r["doc_id"] for r in decontaminate.clean(docs, bench).collect()} == set(range(1, 12)) - {6}
+
+
+def test_keys_that_collide_or_lack(spark):
+    """Different texts of one doc_id are documents of their own; a passage is found whatever the key."""
+    rng = random.Random(5)
+    a, b, c = (" ".join(words(rng, 60)) for _ in range(3))
+    rows = [(1, a, "en", "s", 1), (1, b, "en", "s", 1), (2, a + " more", "en", "s", 1), (None, c, "en", "s", 1), (None, c + " more", "en", "s", 1), (None, b, "en", "s", 1), (3, None, "en", "s", 1), (4, "", "en", "s", 1)]
+    kept = neardup.keep_one(spark.createDataFrame(rows, DOCS), k=5).collect()
+    assert sorted(((r["doc_id"], r["text"]) for r in kept if r["text"] != c and r["text"] != c + " more"), key=str) == sorted([(1, a), (1, b), (3, None), (4, "")], key=str)
+    assert sum((r["text"] or "").startswith(c) for r in kept) == 1 and len(kept) == 5
+    bench = spark.createDataFrame([(1, c)], "item_id long, text string")
+    assert [r["text"] for r in decontaminate.clean(spark.createDataFrame(rows, DOCS), bench).collect()].count(c) == 0
+
+
 def nothing(spark):
     return spark.createDataFrame([], DOCS)
 
@@ -96,6 +145,19 @@ def test_license_filters_lose_nothing(spark):
         assert got[i] == ",".join(sorted(want)), (t, templates)
 
 
+def test_long_templates(spark):
+    """Templates of any length, given as a table; those in a part of a long text are found, others are not."""
+    rng = random.Random(4)
+    long, short = words(rng, 700), words(rng, 5)
+    some = [w for i, w in enumerate(long) if i % 12]  # 91.6 % of the words
+    less = [w for i, w in enumerate(long) if i % 8]  # 87.5 %
+    texts = [" ".join(words(rng, 900) + x + words(rng, 500)) for x in (long, some, less, short, long[:600], words(rng, 3))]
+    given = spark.createDataFrame([("long", " ".join(long).upper()), ("short", ", ".join(short)), ("mit", licenses.TEMPLATES[-2][1]), ("none", None), ("none", "")], "label string, text string")
+    r = {x["doc_id"]: (x["labels"], x["score"]) for x in licenses.scan(docs_of(spark, [*texts, "MIT. " + licenses.TEMPLATES[-2][1], texts[1], None]), templates=given).collect()}
+    assert [r[i][0] for i in range(9)] == ["long", "long", "", "short", "", "", "mit", "long", ""]
+    assert r[0][1] == 1.0 and 0.9 < r[1][1] < 0.92 and r[2][1] == 0.0 and r[1] == r[7]
+
+
 # ---- 3 vectors
 
 
@@ -208,6 +270,36 @@ def test_sharding(spark):
     assert again == {r["doc_id"]: (r["shard"], r["slot"]) for r in rows}
 
 
+def test_shards_against_recomputed_draws(spark):
+    import math
+
+    import xxhash
+
+    def hashed(*parts):
+        seed = 42
+        for p in parts:
+            seed = xxhash.xxh64_intdigest(p, seed=seed)
+        return seed
+
+    def shard_of(key, node):
+        if node.shard is not None:
+            return node.shard
+        h = hashed(b"shard", str(key).encode()).to_bytes(8, "little")
+        own = [c for c in node.children if c.weight > 0]
+        if len(own) == 1:
+            return shard_of(key, own[0])
+        return shard_of(key, max(own, key=lambda c: math.log(((hashed(c.name.encode(), h) >> 11) + 1) * 2.0**-53) / c.weight))
+
+    tree = sharding.tree_of(16)
+    grown = sharding.with_region(tree, 1, "r2")
+    odd_tree = sharding.Node("all", (sharding.Node("a", shard=5, own=2.0), sharding.Node("b", shard=1, own=0.0), sharding.Node("c", (sharding.Node("d", shard=2), sharding.Node("e", (sharding.Node("f", shard=3),)))), sharding.Node("g", (sharding.Node("h", shard=7, own=0.5),))))
+    docs = docs_of(spark, [f"text {i}" for i in range(1500)])
+    for r in sharding.assign(docs, tree, grown=grown).collect():
+        assert (r["shard"], r["grown_shard"]) == (shard_of(r["doc_id"], tree), shard_of(r["doc_id"], grown))
+    for r in sharding.with_shard(docs, "doc_id", odd_tree).collect():
+        assert r["shard"] == shard_of(r["doc_id"], odd_tree)
+
+
 def test_sharding_moves_rows_within_changed_subtrees(spark):
     keys = spark.range(4000)
     tree = sharding.tree_of(16)
@@ -261,6 +353,26 @@ def test_quality_identity_and_odd_rows(spark):
     assert quality.classify(nothing(spark), quality.train(nothing(spark), empty)).count() == 0
 
 
+def test_long_texts_have_the_same_features(monkeypatch):
+    rng = random.Random(12)
+    text = "\n".join(" ".join(rng.choice(["Word", "zwei", "drei,", "4", "fünf!", "w" + str(rng.randrange(99))]) for _ in range(rng.randrange(12))) for _ in range(300))
+    whole = quality.features(pa.array([text]), np.array([3.0]))
+    monkeypatch.setattr(kernel, "SEGMENT", 50)
+    for a, b in zip(whole, quality.features(pa.array([text]), np.array([3.0])), strict=True):
+        assert np.array_equal(a, b)
+
+
+def test_quality_of_a_text_of_fifty_megabytes():
+    import resource
+
+    text = pa.array(["some words of one very long Text 123, " * 1_400_000])
+    m = quality.fit([])
+    before = resource.getrusage(resource.RUSAGE_SELF).ru_maxrss
+    buckets, off, stats = quality.features(text, np.array([np.nan]))
+    assert len(quality.scores(m, buckets, off, stats)) == 1 and off[-1] == 8 and stats[0, 0] == np.log1p(11_200_000)
+    assert (resource.getrusage(resource.RUSAGE_SELF).ru_maxrss - before) / 1024 < 200
+
+
 # ---- 7 lines
 
 
@@ -306,8 +418,8 @@ def test_passages(spark):
     assert (r["start_a"], r["words_a"], r["start_b"], r["words_b"], r["similarity"]) == (60, 80, 0, 80, 1.0)
     r = got[0, 1]
     assert (r["start_a"], r["words_a"], r["start_b"], r["words_b"], r["n_equal"]) == (60, 80, 5, 79, 76)
-    spans = {r["doc_id"]: (r["start"], r["n_words"], r["partner_id"], r["n_found"]) for r in passages.repeated_spans(found).collect()}
-    assert spans == {0: (60, 80, 1, 2), 1: (5, 79, 0, 2), 6: (0, 80, 0, 2), 7: (0, 80, 8, 1), 8: (0, 80, 7, 1)}
+    spans = {r["doc_id"]: (r["start"], r["n_words"], r["partner_id"]) for r in passages.repeated_spans(found).collect()}
+    assert spans == {0: (60, 80, 1), 1: (5, 79, 0), 6: (0, 80, 0), 7: (0, 80, 8), 8: (0, 80, 7)}
     assert pairs_of(spark, []).count() == 0 and passages.repeated_spans(pairs_of(spark, [])).count() == 0
     assert {(r["doc_a"], r["doc_b"]) for r in passages.shared_passages(odd(spark)).collect()} == set()
     with pytest.raises(ValueError):
@@ -395,22 +507,31 @@ def test_every_long_exact_repeat_is_found(spark, sf):
 
 def test_chains_against_all_chains():
     rng = random.Random(8)
-    for _ in range(60):
+    for _ in range(80):
         n = rng.randint(1, 9)
-        a, b = (np.array([rng.randrange(30) for _ in range(n)]) for _ in range(2))
-        best = {}
+        first = np.array([[rng.randrange(200), rng.randrange(200)] for _ in range(n)])
+        last = first + np.array([[rng.randrange(20)] for _ in range(n)])
+        weight, best = np.array([rng.randint(1, 3) for _ in range(n)]), {}
+        cost = lambda j, i, first=first, last=last: passages.GAP_COST * float((first[i] - last[j]).sum())
 
-        def score(i, a=a, b=b, n=n, best=best):
+        def score(i, first=first, last=last, weight=weight, n=n, best=best, cost=cost):
             if i not in best:
-                best[i] = passages.SEED_SCORE + max([0.0, *(score(j) - passages.GAP_COST * (a[i] - a[j] + b[i] - b[j]) for j in range(n) if a[j] < a[i] and b[j] < b[i])])
+                best[i] = passages.SEED_SCORE * weight[i] + max([0.0, *(score(j) - cost(j, i) for j in range(n) if (last[j] < first[i]).all())])
             return best[i]
 
-        top = max(score(i) for i in range(n))
-        found = passages.chains(a, b)
+        found = passages.best_chains(first, last, weight)
         assert sorted(i for c in found for i in c) == list(range(n))
-        value = lambda c, a=a, b=b: len(c) * passages.SEED_SCORE - passages.GAP_COST * (a[c[-1]] - a[c[0]] + b[c[-1]] - b[c[0]])
-        assert np.isclose(max(map(value, found)), top)
-        assert all((np.diff(a[c]) > 0).all() and (np.diff(b[c]) > 0).all() for c in found)
+        value = lambda c, weight=weight, cost=cost: passages.SEED_SCORE * weight[c].sum() - sum(cost(x, y) for x, y in zip(c, c[1:], strict=False))
+        assert np.isclose(max(map(value, found)), max(score(i) for i in range(n)))
+        assert all((last[x] < first[y]).all() for c in found for x, y in zip(c, c[1:], strict=False))
+
+
+def test_fragments_and_chains():
+    a, b = np.array([5, 1, 9, 30, 100, 33, 5, 7]), np.array([4, 0, 8, 32, 99, 35, 4, 7])
+    row, first, last, seeds = passages.fragments(np.array([0, 0, 0, 0, 0, 0, 0, 1]), a, b)
+    assert row.tolist() == [0, 0, 0, 1] and seeds.tolist() == [2, 3, 1, 1]
+    assert first.tolist() == [[30, 32], [1, 0], [100, 99], [7, 7]] and last.tolist() == [[33, 35], [9, 8], [100, 99], [7, 7]]
+    assert passages.chains(first[:3], last[:3], seeds[:3]) == [[1, 0]]
 
 
 # ---- 9 near-duplicates
