@@ -4,10 +4,11 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from regpath.llm.common import digest, draw, table
+from regpath.llm.common import table
+from regpath.operators.scratch import Scratch
 
 #: Rows of a shard are numbered bucket by bucket; so many leading bits of their hash name the bucket.
 SLOT_BITS = 12
@@ -50,72 +51,78 @@ def _numbers(node: Node) -> list[int]:
     return [node.shard] if node.shard is not None else [n for c in node.children for n in _numbers(c)]
 
 
+def _draw(hashed: Column, name: str) -> Column:
+    """A number in (0, 1] of a node, fixed by its name and a key's hash: 53 bits of a 64-bit hash."""
+    return (F.shiftrightunsigned(F.xxhash64(F.lit(name), hashed), 11) + F.lit(1)).cast("double") * F.lit(2.0**-53)
+
+
+def _shard_of(hashed: str, tree: Node) -> Column:
+    """The shard of a key's hash: level by level the child with the greatest ln(draw) / weight; ties go to the last."""
+    if tree.shard is not None:
+        return F.lit(tree.shard)
+    children = [c for c in tree.children if c.weight > 0]
+    if len(children) == 1:
+        return _shard_of(hashed, children[0])
+    scores = [F.struct((F.log(_draw(F.col(hashed), c.name)) / F.lit(float(c.weight))).alias("score"), F.lit(i).alias("i")) for i, c in enumerate(children)]
+    best = F.array_max(F.array(*scores))["i"]
+    if all(c.shard is not None for c in children):
+        return F.array(*[F.lit(c.shard) for c in children])[best]
+    # the choice is bound to a name once: were it an expression of each branch, every branch would draw again
+    found = F.transform(F.array(best), lambda at: F.coalesce(*[F.when(at == i, _shard_of(hashed, c)) for i, c in enumerate(children)]))
+    return found[0]
+
+
 def with_shard(rows: DataFrame, key: str, tree: Node, out: str = "shard", seed: str = "shard") -> DataFrame:
     """Adds the shard of each key: at each level the child with the greatest ln(draw) / weight.
 
     A child's draw depends on the key and its name alone.  A change of weight
     moves rows only to or from the subtrees whose weight changes.  Children of
-    weight 0 get nothing.  Null keys are one key.  Levels are columns of their
-    own, and each node's draw stands in the plan once.
+    weight 0 get nothing.  Null keys are one key.  A key is hashed once, and only the
+    children on its way draw.
     """
     if tree.weight <= 0:
         raise ValueError(f"{tree.name} has no weight")
-    names, at, level, leaves, n = rows.columns, f"_at_{out}", [(0, tree)], {}, 1
-    placed = rows.withColumn(at, F.lit(0))
-    while level:
-        below, choice = [], None
-        for number, node in level:
-            if node.shard is not None:
-                leaves[number] = node.shard
-                continue
-            scores = []
-            for child in (c for c in node.children if c.weight > 0):
-                score = F.log(draw(seed, child.name, F.col(key)) + F.lit(2.0**-53)) / F.lit(float(child.weight))
-                scores.append(F.struct(score.alias("score"), F.lit(-n).alias("i")))
-                below.append((n, child))
-                n += 1
-            best = -F.array_max(F.array(*scores))["i"] if len(scores) > 1 else F.lit(n - 1)
-            choice = F.when(F.col(at) == number, best) if choice is None else choice.when(F.col(at) == number, best)
-        if choice is not None:
-            placed = placed.withColumn(at, choice.otherwise(F.col(at)))
-        level = below
-    shards = F.array(*[F.lit(leaves.get(i, -1)) for i in range(n)])
-    return placed.select(*names, shards[F.col(at)].cast("int").alias(out))
-
-
-def with_slots(rows: DataFrame, shard: str, key: list[str], slot: str = "slot") -> DataFrame:
+    names, hashed = rows.columns, "_hash_" + "_".join(rows.columns)
+    keyed = rows.withColumn(hashed, F.xxhash64(F.lit(seed), F.coalesce(F.col(f"`{key}`").cast("string"), F.lit(""))))
+    return keyed.select(*[F.col(f"`{c}`") for c in names], _shard_of(hashed, tree).cast("int").alias(out))
+
+
+def with_slots(rows: DataFrame, shard: str, key: list[str], slot: str = "slot", scratch: Scratch | None = None) -> DataFrame:
     """Numbers the rows of each shard from 0 without a gap, in the order of a hash of their key.
 
-    Equal rows are first counted into one, and get adjacent numbers.  Each
+    Equal rows are first counted into one, and get adjacent numbers; what is left
+    is written, as it is read twice.  Each
     shard is cut by its hash into 2^SLOT_BITS buckets that are numbered on their
     own, from the count of the buckets before: no task holds a whole shard.
     """
-    names = rows.columns
-    counted = rows.groupBy(*names).agg(F.count(F.lit(1)).alias("_n")).withColumn("_h", digest(*[F.col(c) for c in key], digits=15))
-    counted = counted.withColumn("_b", F.shiftright("_h", 60 - SLOT_BITS).cast("int"))
-    sizes = counted.groupBy(shard, "_b").agg(F.sum("_n").alias("_rows"))
-    before = "coalesce(sum(_rows) over (partition by {s} order by _b rows between unbounded preceding and 1 preceding), 0)".format(s=f"`{shard}`")
-    starts = sizes.select(F.col(shard).alias("_s"), F.col("_b").alias("_sb"), F.expr(before).alias("_start"))
+    scratch, names = scratch or Scratch(rows.sparkSession, "slots"), rows.columns
+    places = [f"c{i}" for i in range(len(names))]
+    order = [places[names.index(k)] for k in key]
+    counted = rows.toDF(*places).groupBy(*places).agg(F.count(F.lit(1)).alias("n"))
+    counted = scratch.table(counted.withColumn("h", F.xxhash64(*[F.coalesce(F.col(c).cast("string"), F.lit("")) for c in order])))
+    counted = counted.withColumn("s", F.col(places[names.index(shard)])).withColumn("b", F.shiftrightunsigned("h", 64 - SLOT_BITS).cast("int"))
+    sizes = counted.groupBy("s", "b").agg(F.sum("n").alias("rows"))
+    before = "coalesce(sum(rows) over (partition by s order by b rows between unbounded preceding and 1 preceding), 0)"
     # at most shards * 2^SLOT_BITS rows, whatever the number of documents
-    joined = counted.join(F.broadcast(starts), (F.col(shard) == F.col("_s")) & (F.col("_b") == F.col("_sb")))
-    within = "coalesce(sum(_n) over (partition by `{s}`, _b order by _h, {k} rows between unbounded preceding and 1 preceding), 0)".format(s=shard, k=", ".join(f"`{c}`" for c in key))
-    numbered = joined.withColumn("_from", F.col("_start") + F.expr(within))
-    return numbered.select(*names, F.explode(F.sequence(F.col("_from"), F.col("_from") + F.col("_n") - 1)).alias(slot))
+    joined = counted.join(F.broadcast(sizes.select("s", "b", F.expr(before).alias("start"))), ["s", "b"])
+    within = f"coalesce(sum(n) over (partition by s, b order by h, {', '.join(order + places)} rows between unbounded preceding and 1 preceding), 0)"
+    numbered = joined.withColumn("at", F.col("start") + F.expr(within))
+    numbered = numbered.select(*places, F.explode(F.sequence(F.col("at"), F.col("at") + F.col("n") - 1)).alias("slot"))
+    return numbered.toDF(*names, slot)
 
 
-def assign(docs: DataFrame, tree: Node, key: str = "doc_id", text: str = "text", grown: Node | None = None, seed: str = "shard") -> DataFrame:
+def assign(docs: DataFrame, tree: Node, key: str = "doc_id", text: str = "text", grown: Node | None = None, seed: str = "shard", scratch: Scratch | None = None) -> DataFrame:
     """(key, size, text_crc32, law, shard, slot, grown_shard) for each row of docs.
 
     size: UTF-8 bytes of the text plus 1 (null text: 1).  Rows are reduced to these
     numbers before anything is shuffled.  Repeated rows keep their own slots.
     """
     body = F.coalesce(F.col(text), F.lit(""))
-    rows = docs.select(
-        F.col(key).alias(key), (F.octet_length(body) + 1).cast("long").alias("size"), F.crc32(body.cast("binary")).cast("long").alias("text_crc32"), F.lit("key").alias("law"),
-    )
-    rows = with_shard(rows, key, tree, "shard", seed)
-    rows = with_shard(rows, key, grown, "grown_shard", seed) if grown else rows.withColumn("grown_shard", F.lit(None).cast("int"))
-    return with_slots(rows, "shard", [key, "size", "text_crc32"]).select(key, "size", "text_crc32", "law", "shard", "slot", "grown_shard")
+    rows = docs.select(F.col(key).alias("key"), (F.octet_length(body) + 1).cast("long").alias("size"), F.crc32(body.cast("binary")).cast("long").alias("crc"))
+    rows = with_shard(rows, "key", tree, "shard", seed)
+    rows = with_shard(rows, "key", grown, "grown", seed) if grown else rows.withColumn("grown", F.lit(None).cast("int"))
+    numbered = with_slots(rows, "shard", ["key", "size", "crc"], scratch=scratch)
+    return numbered.select(F.col("key").alias(key), "size", F.col("crc").alias("text_crc32"), F.lit("key").alias("law"), "shard", "slot", F.col("grown").alias("grown_shard"))
 
 
 def op5_shard(spark: SparkSession, sf_dir: str) -> DataFrame:
