@@ -2,12 +2,18 @@
 
 Three ways give the same result.  `unrolled`: an expression without
 repetition is one plan of joins, a join and a distinct for each state.
-`local`: in a graph of small closed parts, each part is searched within one task.
+`local`: in a graph of small closed parts, each part is searched within one task; larger parts go by rounds.
 `rounds`: any graph, a job for each step of all walks at once.
+
+What holds for `rounds`: every row of a search is made once, and pairs of both ends stay within
+edges times the root of the result.  But each round reads the steps once, and the rows found so far once, so that
+reading is rounds times these: long walks over one giant component are the costly case.
 """
 
 from __future__ import annotations
 
+import itertools
+import math
 from collections.abc import Iterator
 from dataclasses import dataclass, field, replace
 
@@ -22,13 +28,20 @@ from regpath.operators.scratch import Scratch
 from regpath.sources.graph import LabeledGraph
 
 
+#: Pairs that a task hands on at once.
+ROWS_AT_ONCE = 50_000
+#: Rounds after which the files of all rounds so far are written as one table.
+COMPACT = 32
+
+
 @dataclass
 class Evaluation:
     """How expressions are evaluated, and what was done.
 
     mode: 'auto' or one of the three ways.  cap: targets a vertex may hold in the
-    capped search, 'auto' to start at 16; it doubles as needed.  one_part: a graph
-    without parts of up to so many edges counts as one part in itself.  budget: the
+    capped search, 'auto' to start at 16; it doubles as needed.  one_part: a part of up to so many edges
+    and possible pairs is searched within a task; a graph
+    without parts counts as one part in itself.  budget: the
     greatest bound that a query may have.  direction: of searches for pairs, 'forward',
     'backward', or 'auto' for backward where only the far end has a filter.  log: a dict of each evaluation.
     """
@@ -37,17 +50,33 @@ class Evaluation:
     mode: str = "auto"
     cap: int | str = "auto"
     max_rounds: int = 1_000_000
-    one_part: int = 50_000
+    one_part: tuple[int, int] = (50_000, 25_000_000)
     budget: float | None = None
     direction: str = "auto"
     log: list[dict] = field(default_factory=list)
+    _large: dict = field(default_factory=dict)
 
     def way(self, g: LabeledGraph, a: Automaton) -> str:
         if self.mode != "auto":
             return self.mode
         if not a.cyclic:
             return "unrolled"
-        return "local" if g.parted or g.edges.limit(self.one_part + 1).count() <= self.one_part else "rounds"
+        return "local" if g.parted or self.small_enough(g) else "rounds"
+
+    def small_enough(self, g: LabeledGraph) -> bool:
+        """Whether a graph without parts can be searched within a task: told by its edges, read no further than the bound, and ends."""
+        most, pairs = self.one_part
+        few = g.edges.limit(most + 1)
+        n, a, b = few.agg(F.count(F.lit(1)), F.count_distinct("src"), F.count_distinct("dst")).first()
+        return n <= most and max(a, b) ** 2 <= pairs
+
+    def large_parts(self, g: LabeledGraph) -> DataFrame | None:
+        """(part): parts too large for a task; None if there are none.  Counted once for each graph."""
+        if id(g.edges) not in self._large:
+            most, pairs = self.one_part
+            large = g.edges.groupBy("part").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > min(most, math.isqrt(pairs))).select("part")
+            self._large[id(g.edges)] = (g.edges, self.scratch.table(large) if holds(large) else None)  # the graph is held, so that no other gets its id
+        return self._large[id(g.edges)][1]
 
     def note(self, **what) -> None:
         self.log.append(what)
@@ -79,7 +108,7 @@ def reach_unary(g: LabeledGraph, e: PathExpr, keep: str, x_in=(), y_in=(), requi
     if way == "unrolled":
         reached = _unrolled(g, a, x, tagged=False, targets=y)
     elif way == "local":
-        reached = _local(g, a, x, y, tagged=False)
+        reached = _by_parts(g, a, x, y, how, tagged=False)
     else:
         reached = _rounds(g, a, x, y, how)
     out = reached if y is None else reached.join(y, "v", "left_semi")
@@ -109,7 +138,7 @@ def pairs_capped(g: LabeledGraph, e: PathExpr, x_in=(), y_in=(), require: bool =
     if way == "unrolled":
         found = _unrolled(g, a, x, tagged=True, targets=y)
     elif way == "local":
-        found = _local(g, a, x, y, tagged=True)
+        found = _by_parts(g, a, x, y, how, tagged=True)
     else:
         found = _capped(g, a, x, y, how)
     found = found if y is None else found.join(y, "v", "left_semi").select("s", "v")
@@ -157,14 +186,18 @@ def _no_vertex(g: LabeledGraph) -> DataFrame:
 def _unrolled(g: LabeledGraph, a: Automaton, sources: DataFrame | None, tagged: bool, targets: DataFrame | None) -> DataFrame:
     """(v) or (s, v) behind at least one letter, state by state; states lead forward only.
 
-    With a target filter, tagged rows are first cut to the vertices from which a
-    target can still be reached, so that no more rows are made than lead on.
+    Tagged rows are first cut to the vertices from which a target, or without a filter any end, can still be
+    reached, so that no more rows are made than lead on.  States next to the start need no such cut
+    without a filter: their rows are edges.
     """
     order = a.layers()
     if order is None:
         raise ValueError("an expression with repetition has no unrolled plan")
     columns = ["s", "v"] if tagged else ["v"]
-    useful = _leading(g, a, order, targets) if tagged and targets is not None else {}
+    near = {p for q, _, p in a.transitions if q == 0} if targets is None else set()
+    useful = {}
+    if tagged and (targets is not None or any(q not in near and q not in a.finals for q in order if q)):
+        useful = {p: df for p, df in _leading(g, a, order, targets).items() if df is not None and p not in near}
 
     def entered(letter) -> DataFrame:
         """(u, v) of a letter."""
@@ -196,17 +229,20 @@ def _unrolled(g: LabeledGraph, a: Automaton, sources: DataFrame | None, tagged:
     return out
 
 
-def _leading(g: LabeledGraph, a: Automaton, order: list[int], targets: DataFrame) -> dict[int, DataFrame]:
-    """For each state but the start: vertices from which walks lead on to a target."""
-    out: dict[int, DataFrame] = {}
+def _leading(g: LabeledGraph, a: Automaton, order: list[int], targets: DataFrame | None) -> dict[int, DataFrame | None]:
+    """For each state but the start: vertices from which walks lead on to a target; None for all, at final states without a filter."""
+    out: dict[int, DataFrame | None] = {}
     for q in reversed(order):
         if q == 0:
             continue
+        if q in a.finals and targets is None:
+            out[q] = None
+            continue
         found = targets if q in a.finals else None
         for b, letter, p in a.transitions:
             if b == q:
                 moves = g.guards[letter.name].select(F.col("v").alias("u"), "v") if isinstance(letter, Guard) else g.walked(letter)
-                back = moves.join(out[p], "v", "left_semi").select(F.col("u").alias("v"))
+                back = (moves if out[p] is None else moves.join(out[p], "v", "left_semi")).select(F.col("u").alias("v"))
                 found = back if found is None else found.union(back)
         out[q] = found.distinct()
     return out
@@ -215,6 +251,19 @@ def _leading(g: LabeledGraph, a: Automaton, order: list[int], targets: DataFrame
 # ---- within parts
 
 
+def _by_parts(g: LabeledGraph, a: Automaton, sources: DataFrame | None, targets: DataFrame | None, how: Evaluation, tagged: bool) -> DataFrame:
+    """(v) or (s, v): small parts each within a task, large ones by rounds."""
+    large = how.large_parts(g) if g.parted and how.mode == "auto" else None
+    if large is None:
+        return _local(g, a, sources, targets, tagged)
+    small = replace(g, edges=g.edges.join(F.broadcast(large), "part", "left_anti").select(*g.edges.columns))
+    rest = replace(g, edges=g.edges.join(F.broadcast(large), "part", "left_semi").select("src", "label", "dst"))
+    ends = rest.vertices()
+    rest = replace(rest, guards={n: v.join(ends, "v", "left_semi") for n, v in g.guards.items()})
+    beyond = _capped(rest, a, sources, targets, how).select("s", "v") if tagged else _rounds(rest, a, sources, targets, how).select("v")
+    return _local(small, a, sources, targets, tagged).union(beyond)
+
+
 def _local(g: LabeledGraph, a: Automaton, sources: DataFrame | None, targets: DataFrame | None, tagged: bool) -> DataFrame:
     """(v) or (s, v): each part's steps and filters meet in one task, which walks them there."""
     if not g.parted:
@@ -263,28 +312,26 @@ def _walker(finals: frozenset[int], with_sources: bool, with_targets: bool, tagg
             yield from ((group[0], v) for v in out) if tagged else ((v,) for v in out)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        now, steps, sources, targets, kind, out = None, [], set(), set(), None, []
-        width = 2 if tagged else 1
-
-        def batch_of(rows):
-            return pa.RecordBatch.from_arrays([pa.array([r[c] for r in rows], kind) for c in range(width)], names=["s", "v"] if tagged else ["v"])
-
-        for batch in batches:
-            kind = batch.schema.field("u").type
-            for part, what, u, q, v, p in zip(*(batch.column(c).to_pylist() for c in ("part", "kind", "u", "q", "v", "p")), strict=True):
-                if part != now:
-                    out.extend(settle(steps, sources, targets))
-                    now, steps, sources, targets = part, [], set(), set()
-                    if len(out) > 50_000:
-                        yield batch_of(out)
-                        out = []
-                if what == 0:
-                    steps.append((u, q, v, p))
-                else:
-                    (sources if what == 1 else targets).add(u)
-        out.extend(settle(steps, sources, targets))
-        if out:
-            yield batch_of(out)
+        kind = None
+
+        def parts() -> Iterator[Iterator[tuple]]:
+            nonlocal kind
+            now, steps, sources, targets = None, [], set(), set()
+            for batch in batches:
+                kind = batch.schema.field("u").type
+                for part, what, u, q, v, p in zip(*(batch.column(c).to_pylist() for c in ("part", "kind", "u", "q", "v", "p")), strict=True):
+                    if part != now:
+                        yield settle(steps, sources, targets)
+                        now, steps, sources, targets = part, [], set(), set()
+                    if what == 0:
+                        steps.append((u, q, v, p))
+                    else:
+                        (sources if what == 1 else targets).add(u)
+            yield settle(steps, sources, targets)
+
+        rows = itertools.chain.from_iterable(parts())  # pairs are handed on while a part is walked, never held all at once
+        while out := list(itertools.islice(rows, ROWS_AT_ONCE)):
+            yield pa.RecordBatch.from_arrays([pa.array([r[c] for r in out], kind) for c in range(2 if tagged else 1)], names=["s", "v"] if tagged else ["v"])
 
     return run
 
@@ -315,6 +362,8 @@ def _spread(first: DataFrame, steps: DataFrame, key: list[str], how: Evaluation)
         rounds += 1
         if not holds(frontier):
             break
+        if len(paths) > COMPACT:
+            paths = [scratch.path(spark.read.schema(first.schema).parquet(*paths[:-1])), paths[-1]]
     return spark.read.schema(first.schema).parquet(*paths[:-1]), rounds
 
 

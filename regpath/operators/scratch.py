@@ -1,12 +1,13 @@
 """Tables written to the folder that all executors share, to cut lineage.
 
-The folder is the one the cluster names in ``spark.checkpoint.dir``.  Only if
-that setting is absent (tests, local sessions) is a folder of our own made.
+The folder is the one the cluster names in ``spark.checkpoint.dir``.  Only in a
+local session without that setting (tests) is a folder of our own made.
 """
 
 from __future__ import annotations
 
 import itertools
+import re
 import tempfile
 import uuid
 
@@ -20,6 +21,8 @@ def shared_dir(spark: SparkSession) -> str:
     named = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
+    if not re.match(r"local(\[|$)", spark.sparkContext.master):
+        raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
     app = spark.sparkContext.applicationId
     if app not in _OWN:
         _OWN[app] = "file://" + tempfile.mkdtemp(prefix="regpath-")

@@ -136,6 +136,22 @@ _purchases = _pairs("hop", "SELECT * FROM c", closure("c", "purchase"))
 _add("pairs_capped_auto", _rpq("hop", "purchase*", mode="rounds"), _purchases)
 _add("pairs_capped_tiny_cap", _rpq("hop", "purchase*", mode="rounds", cap=2), _purchases)
 
+# no parts, and too many pairs for a task: what runs is the capped search
+_add("pairs_beyond_parts", _rpq("supply", "(placed/contains_R/supplied_by/s_in/part_of)+"), _pairs("supply", then("a", "b", "c", "d", "f"), ("a", edge("placed")), ("b", edge("contains_R")), ("c", edge("supplied_by")), ("d", edge("s_in")), ("f", edge("part_of"))))
+
+
+def _gadget(make: Callable[[SparkSession], LabeledGraph], text: str) -> Run:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        g = make(spark)
+        return reach.pairs_capped(g, regex.parse_path(text), how=ev.new_evaluation(g, mode="rounds"))
+
+    return run
+
+
+# made graphs: all sources heavy, one heavy source, long walks of few pairs
+_add("gadget_fan", _gadget(lambda s: builders.fan_in_out(s, 150, 150), "a+"), "SELECT a + 1 AS x, b + 151 AS y FROM range(150) i(a), range(150) j(b) UNION ALL SELECT a + 1, 0 FROM range(150) i(a) UNION ALL SELECT 0, b + 151 FROM range(150) j(b)")
+_add("gadget_one_heavy", _gadget(lambda s: builders.fan_in_out(s, 1, 400), "a/a"), "SELECT 1 AS x, b + 2 AS y FROM range(400) j(b)")
+
 
 def _one(base: Callable) -> Run:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -257,16 +273,16 @@ _add("fc_messages", _messages, query(
 
 
 def _joined(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Materialised relations of three columns and two, with dangling rows, joined the classical way."""
+    """Materialised relations of three columns and two, whole tables (customers without orders dangle), joined the classical way."""
     from regpath.operators.joins import acyclic_join
 
     o = read(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("o"), F.col("o_custkey").alias("c"), F.col("o_orderstatus").alias("s"))
-    line = read(spark, sf_dir, "lineitem").where("l_quantity > 45").select(F.col("l_orderkey").alias("o"), F.col("l_partkey").alias("p")).distinct()
-    c = read(spark, sf_dir, "customer").where("c_acctbal > 5000").select(F.col("c_custkey").alias("c"), F.col("c_nationkey").alias("n"))
+    line = read(spark, sf_dir, "lineitem").select(F.col("l_orderkey").alias("o"), F.col("l_partkey").alias("p")).distinct()
+    c = read(spark, sf_dir, "customer").select(F.col("c_custkey").alias("c"), F.col("c_nationkey").alias("n"))
     return acyclic_join([line, o, c], ["p", "o", "s", "n"])
 
 
-_add("acyclic_join", _joined, "SELECT DISTINCT l_partkey AS p, o_orderkey AS o, o_orderstatus AS s, c_nationkey AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey WHERE l_quantity > 45 AND c_acctbal > 5000")
+_add("acyclic_join", _joined, "SELECT DISTINCT l_partkey AS p, o_orderkey AS o, o_orderstatus AS s, c_nationkey AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey")
 
 
 # ---- contraction
@@ -288,6 +304,8 @@ for _n, _text, _atoms in (
     ("out_out", "A, C <- [error](C, B), [view](B, A)", [("er", "C", "B"), ("vi", "B", "A")]),
 ):
     _add(f"contract_splice_{_n}", _contracted(_text, "timeline"), query("timeline", conjunction(["A", "C"], _atoms), *_tl))
+# a timeline's vertex has one successor: an order has many, so both atoms that leave B meet here
+_add("contract_splice_out_in_orders", _contracted("A, C <- [contains_A](B, A), [contains_R](B, C)", "supply"), query("supply", conjunction(["A", "C"], [("ca", "B", "A"), ("cr", "B", "C")]), *_five))
 _add("contract_leaf_forward", _contracted("A, B <- [view](A, B), [error](B, C)", "timeline"), query("timeline", conjunction(["A", "B"], [("vi", "A", "B"), ("er", "B", "C")]), *_tl))
 _add("contract_leaf_backward", _contracted("A, B <- [view](A, B), [error](C, A)", "timeline"), query("timeline", conjunction(["A", "B"], [("vi", "A", "B"), ("er", "C", "A")]), *_tl))
 _add("contract_composite_leaf", _evaluated("composite_leaf", order=["Y", "Z"]), LEAF)
@@ -313,6 +331,29 @@ _add("path_join_vars_free", _evaluated("path_join_vars_free"), query("supply", c
 _add("path_replaced_atom", _evaluated("replaced_atom"), query("timeline", conjunction(["X", "Y", "U"], [("c", "X", "M"), ("an", "M", "N"), ("p", "N", "Y"), *_four_atoms[1:]]), *_four, ("an", edge())))
 
 
+
+
+def _decomposed(name: str, bags: list[str], edges: list[tuple[int, int]]) -> Run:
+    """A workload by a decomposition of our own."""
+    d = st.Decomposition(tuple(frozenset(b) for b in bags), tuple(edges))
+    return _evaluated(name, mode="local", decomposition=d)
+
+
+_add("decomposition_given", _decomposed("nine_atoms", ["ABCDE", "ACE", "AGH", "AFGHIJ"], [(0, 1), (1, 2), (2, 3)]), NINE)
+_add("decomposition_redundant_bags", _decomposed("star3", ["ACE", "ACE", "AC", "ABCE", "BC"], [(0, 1), (1, 2), (0, 3), (3, 4)]), STAR3)
+
+
+def _without_free(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A bag without free variables is a truth value only."""
+    g, e = _stored(spark, sf_dir, "timeline", mode="local")
+    q = parse_query("A <- [view](A, B), [purchase](P, Q), [purchase](Q, R)")
+    d = st.Decomposition((frozenset("A"), frozenset("AB"), frozenset("PQ"), frozenset("QR")), ((0, 1), (1, 2), (2, 3)))
+    return ev.evaluate(q, g, decomposition=d, how=e)
+
+
+_add("decomposition_bag_without_free", _without_free, query("timeline", "SELECT DISTINCT x AS A FROM vi WHERE EXISTS (SELECT 1 FROM pu a JOIN pu b ON a.y = b.x)", *_tl, ("pu", edge("purchase"))))
+
+
 # ---- structure
 
 NAMED = {n: t[1] for n, t in workloads.TEXTS.items()}
@@ -383,6 +424,7 @@ _add("cyclic_rejected", _cyclic, "SELECT * FROM (VALUES ('triangle', true), ('pa
 # ---- baselines
 
 _add("base_materialise", _based("four_atoms", ev.base_materialise), FOUR)
+_add("base_materialise_five", _based("five_atoms", ev.base_materialise), FIVE)
 _add("base_materialise_star", _based("star3", ev.base_materialise), STAR3)
 _add("base_materialise_os", _based("star3", ev.base_materialise, output_sensitive=True, limit=2), STAR3)
 _add("base_hypertree", _based("star3", ev.base_hypertree), STAR3)
@@ -494,14 +536,19 @@ _add("measure_bounds", _bounds, query(
 
 
 def _work(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Caps, heavy sources, rounds and steps of the capped search."""
-    g, e = _stored(spark, sf_dir, "hop", mode="rounds", cap=2)
-    reach.pairs_capped(g, regex.parse_path("purchase*"), how=e)
-    rows = [(i, r["cap"], r["heavy"], r["rounds"], r["edges_touched"]) for i, r in enumerate(r for r in e.log if r["stage"] == "capped")]
-    return spark.createDataFrame(rows, "attempt int, cap int, heavy long, rounds int, edges_touched long")
+    """Whether the capped search keeps to its bounds: cap, heavy sources and steps walked, of each graph."""
+    rows = []
+    for name, g in (("purchases", _stored(spark, sf_dir, "hop")[0]), ("fan", builders.fan_in_out(spark, 60, 60)), ("comb", builders.comb(spark, 8, 5))):
+        e = ev.new_evaluation(g, mode="rounds", cap=2)
+        text = "purchase*" if name == "purchases" else "a+"
+        out, edges = reach.pairs_capped(g, regex.parse_path(text), how=e).count(), g.edges.count()
+        tried = [r for r in e.log if r["stage"] == "capped"]
+        last, transitions = tried[-1], len(regex.to_automaton(regex.parse_path(text)).transitions)
+        rows.append((name, last["cap"] <= max(2, 2 * out**0.5), last["heavy"] <= last["cap"], sum(r["edges_touched"] for r in tried) <= 4 * transitions * edges * (last["cap"] + 1)))
+    return spark.createDataFrame(rows, "graph string, cap_within boolean, heavy_within boolean, steps_within boolean")
 
 
-_add("measure_work", _work)
+_add("measure_work", _work, "SELECT * FROM (VALUES ('purchases', true, true, true), ('fan', true, true, true), ('comb', true, true, true)) v(graph, cap_within, heavy_within, steps_within)")
 
 
 def _costs(spark: SparkSession, sf_dir: str) -> DataFrame:

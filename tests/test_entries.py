@@ -1,15 +1,11 @@
 from __future__ import annotations
 
-import os
-
 import pytest
 
 import __spark_entry__
 from regpath.plans import entries
 
-#: Those that a job for each step makes slow are left to REGPATH_ALL=1.
-SLOW = {"pairs_capped_auto", "pairs_capped_tiny_cap", "measure_work", "measure_bag_chain", "explain_cost", "contract_all_guards"}
-NAMES = [n for n in entries.QUERIES if os.environ.get("REGPATH_ALL") or n not in SLOW]
+NAMES = list(entries.QUERIES)
 
 
 @pytest.mark.parametrize("name", NAMES)
