@@ -7,6 +7,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -37,24 +38,36 @@ class Machine:
 def features(texts: pa.Array, n_chars: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Distinct word buckets in order, their offsets, and a row of statistics for each text."""
     data, off = kernel.bytes_of(texts)
-    words, at = kernel.word_hashes(data, off)
-    buckets, to = kernel.as_sets(words % np.uint64(BUCKETS), at)
-    distinct = np.diff(kernel.as_sets(words, at)[1])
-    size, n = np.maximum(1, np.diff(off)), np.diff(at)
-
-    def share(kind: np.ndarray) -> np.ndarray:
-        upto = np.concatenate([[0], np.cumsum(kind[data])])
-        return (upto[off[1:]] - upto[off[:-1]]) / size
-
-    lines = share(NEW_LINE) * size + 1
+    if len(off) == 2 and len(data) > kernel.SEGMENT:
+        buckets, to, n, distinct = _of_long(data, off)
+    else:
+        words, at = kernel.word_hashes(data, off)
+        buckets, to = kernel.as_sets(words % np.uint64(BUCKETS), at)
+        n, distinct = np.diff(at), np.diff(kernel.as_sets(words, at)[1])
+    size = np.maximum(1, np.diff(off))
+    share = lambda kind: kernel.byte_counts(data, off, kind) / size
+    lines = kernel.byte_counts(data, off, NEW_LINE) + 1.0
     chars = np.nan_to_num(n_chars, nan=0.0)
     stats = [np.log1p(n), size / np.maximum(1, n), distinct / np.maximum(1, n), share(UPPER), share(PUNCTUATION), share(SYMBOL), share(DIGIT), np.log1p(lines), np.log1p(n / lines), share(HIGH), np.log1p(np.maximum(0, chars)), ~np.isnan(n_chars)]
     return buckets.astype(np.int64), to, np.array(stats, dtype=np.float64).T.reshape(len(texts), len(STATISTICS))
 
 
+def _of_long(data: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Word buckets, their offsets, and numbers of words and distinct words of one text, of which only distinct words are held."""
+    seen, n = [np.zeros(0, dtype=np.uint64)], 0
+    for words, _ in kernel.word_segments(data, off):
+        n += len(words)
+        seen.append(np.unique(words))
+        if len(seen) > 16:
+            seen = [np.unique(np.concatenate(seen))]
+    distinct = np.unique(np.concatenate(seen))
+    buckets = np.unique(distinct % np.uint64(BUCKETS))
+    return buckets, np.array([0, len(buckets)]), np.array([n]), np.array([len(distinct)])
+
+
 def _kind(chars: bytes) -> np.ndarray:
-    out = np.zeros(256, dtype=np.int64)
-    out[list(chars)] = 1
+    out = np.zeros(256, dtype=bool)
+    out[list(chars)] = True
     return out
 
 
@@ -124,12 +137,12 @@ def _numbers(column: pa.Array) -> np.ndarray:
     return column.cast(pa.float64()).to_numpy(zero_copy_only=False)
 
 
-def _scored(m: Machine):
+def _scored(machine: Broadcast[Machine]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for at, to in kernel.portions(batch.column("text")):
                 text = batch.column("text").slice(at, to - at)
-                out = scores(m, *features(text, _numbers(batch.column("n_chars").slice(at, to - at))))
+                out = scores(machine.value, *features(text, _numbers(batch.column("n_chars").slice(at, to - at))))
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(at, to - at), pa.array(out)], names=["doc_id", "score"])
 
     return run
@@ -157,7 +170,7 @@ def classify(docs: DataFrame, machine: Machine) -> DataFrame:
     feature of its own; null keys are not held out.
     """
     own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.col("n_chars").cast("double").alias("n_chars"))
-    out = own.mapInArrow(_scored(machine), "doc_id long, score double")
+    out = own.mapInArrow(_scored(docs.sparkSession.sparkContext.broadcast(machine)), "doc_id long, score double")
     return out.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "score", (F.col("score") >= GOOD).cast("int").alias("predicted"))
 
 
