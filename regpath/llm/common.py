@@ -40,6 +40,14 @@ def digest(*parts: Column | str, digits: int = 13) -> Column:
     return F.conv(F.substring(F.md5(joined), 1, digits), 16, 10).cast("long")
 
 
+def free_name(columns: list[str], name: str) -> str:
+    """The name, with underscores behind it while a column has it."""
+    taken = {c.lower() for c in columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 def small(df: DataFrame, most: int) -> bool:
     """Whether df has at most so many rows; reads no further than that."""
     return df.limit(most + 1).count() <= most

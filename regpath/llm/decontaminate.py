@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from regpath.llm.common import quick_words, small, table
+from regpath.llm.common import if_small, quick_words, small, table
 
 #: A seed compares the words where its mask has 1 and ignores the others; all masks are equally long.
 MASKS = ("11011010111", "11101011011")
@@ -13,6 +13,8 @@ MASKS = ("11011010111", "11101011011")
 OVERLAP = 0.5
 #: Up to so many benchmark seeds, they are broadcast; beyond it they are joined by shuffle.
 SEEDS_BROADCAST = 500_000
+#: Up to so many texts that overlap are told by a broadcast of their hashes.
+HITS_BROADCAST = 500_000
 
 
 def _hash_at(words: Column, start: Column, mask: str) -> Column:
@@ -78,10 +80,14 @@ def _short(own: DataFrame, short: DataFrame, span: int) -> DataFrame:
     return run.union(whole).join(short, "_item_words").select("_key", "_item", F.size("_item_words").alias("item_words"), "_shift", F.size("_item_words").alias("matched"))
 
 
-def clean(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", **how) -> DataFrame:
-    """The rows of docs that overlap with no item; a row without a key stays."""
-    hit = overlaps(docs, benchmark, key, **how).select(key).distinct()
-    return docs.join(hit, key, "left_anti").select(*docs.columns)
+def clean(docs: DataFrame, benchmark: DataFrame, text: str = "text", **how) -> DataFrame:
+    """The rows of docs whose text overlaps with no item.  Texts are told by 128 bits of hash; keys, or none, play no part."""
+    words = F.coalesce(F.col(text), F.lit(""))
+    mark = F.struct(F.xxhash64(words).alias("a"), F.xxhash64(F.lit("again"), words).alias("b"))
+    hit = overlaps(docs.select(mark.alias("mark"), F.col(text).alias("text")), benchmark, "mark", **how).select(F.col("mark").alias("hit")).distinct()
+    own = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), mark.alias("mark"))
+    left = own.join(if_small(hit, HITS_BROADCAST), F.col("mark") == F.col("hit"), "left_anti")
+    return left.select(*[F.col("row")[c].alias(c) for c in docs.columns])
 
 
 def op4_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -208,5 +208,7 @@ def keep_identified(docs: DataFrame, scratch: Scratch | None = None) -> DataFram
     """The rows of docs whose language is accepted.  Each row is judged on its own, whatever its doc_id."""
     mark = F.xxhash64(*[F.coalesce(F.col(c), F.lit("")) for c in ("text", "lang", "source")])
     found = identify(of_documents(docs, mark.alias("mark")), scratch)
-    rejected = found.where("not accepted").select(F.col("key").alias("_no"), F.col("mark").alias("_mark")).distinct()
-    return docs.join(if_small(rejected, 1_000_000), docs["doc_id"].eqNullSafe(F.col("_no")) & (mark == F.col("_mark")), "left_anti").select(*docs.columns)
+    rejected = found.where("not accepted").select(F.col("key").alias("rejected"), F.col("mark").alias("rejected_mark")).distinct()
+    own = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col("doc_id").alias("key"), mark.alias("mark"))
+    left = own.join(if_small(rejected, 1_000_000), F.col("key").eqNullSafe(F.col("rejected")) & (F.col("mark") == F.col("rejected_mark")), "left_anti")
+    return left.select(*[F.col("row")[c].alias(c) for c in docs.columns])

@@ -7,7 +7,7 @@ from collections.abc import Mapping
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from regpath.llm.common import digest, draw, if_small, table
+from regpath.llm.common import digest, draw, free_name, if_small, table
 
 #: A Poisson number of a larger mean is the sum of several of at most this mean.
 MEAN_A_DRAW = 64.0
@@ -23,7 +23,8 @@ def source_rates(docs: DataFrame, source: str = "source", text: str = "text", we
     name has weight 0.  A row's size is its text's UTF-8 bytes plus 1, so that
     empty texts count; null sources are one source of their own.
     """
-    sizes = docs.groupBy(F.col(source).alias("mix_source")).agg(F.sum(F.coalesce(F.octet_length(text), F.lit(0)) + F.lit(1)).cast("double").alias("bytes"))
+    docs = docs.select(F.col(source).alias("mix_source"), F.col(text).alias("mix_text"))
+    sizes = docs.groupBy("mix_source").agg(F.sum(F.coalesce(F.octet_length("mix_text"), F.lit(0)) + F.lit(1)).cast("double").alias("bytes"))
     if weights is None:
         weighted = sizes.withColumn("weight", F.sqrt("bytes") if power is None else F.pow("bytes", F.lit(power)))
     else:
@@ -51,20 +52,21 @@ def mix(docs: DataFrame, key: str = "doc_id", source: str = "source", text: str
 
     The number is the Poisson distribution of the source's rate, inverted at a draw
     fixed by seed and key, so that a run again, or on other machines, gives the
-    same copies.  Returns the columns of docs, copy_no (from 1) and mix_key; rows
+    same copies.  Returns the columns of docs, copy_no (from 1) and mix_key, which get underscores behind their names where docs has columns of these; rows
     are dealt out and sorted by mix_key, the order to read them in.  Rows with
     equal keys draw alike; a null key is one key.  Nothing is capped.
     """
     upto = if_small(_cumulative(source_rates(docs, source, text, **rates)), SOURCES_BROADCAST)
-    names = docs.columns
-    own = docs.select(*[F.col(c) for c in names], F.col(key).alias("_mix_row"))
-    joined = own.join(upto, own[source].eqNullSafe(upto["mix_source"]))
+    names = docs.columns  # a row goes along whole, so that no name of its columns can clash with one used here
+    own = docs.select(F.struct(*[F.col(f"`{c}`") for c in names]).alias("row"), F.col(key).alias("row_key"), F.col(source).alias("row_source"))
+    joined = own.join(upto, F.col("row_source").eqNullSafe(F.col("mix_source")))
     count = F.aggregate(
-        F.sequence(F.lit(1), F.col("draws")), F.lit(0), lambda n, j: n + F.size(F.filter("upto", lambda c: c <= draw(seed, F.col("_mix_row"), j)))
+        F.sequence(F.lit(1), F.col("draws")), F.lit(0), lambda n, j: n + F.size(F.filter("upto", lambda c: c <= draw(seed, F.col("row_key"), j)))
     )
-    copies = joined.withColumn("_mix_n", count).where("_mix_n > 0").select(*names, "_mix_row", F.explode(F.sequence(F.lit(1), F.col("_mix_n"))).alias("copy_no"))
-    keyed = copies.select(*names, "copy_no", digest(seed, "order", F.col("_mix_row"), F.col("copy_no"), digits=15).alias("mix_key"))
-    return keyed.repartition("mix_key").sortWithinPartitions("mix_key")
+    copies = joined.withColumn("n", count).where("n > 0").select("row", "row_key", F.explode(F.sequence(F.lit(1), F.col("n"))).alias("copy"))
+    keyed = copies.select("row", "copy", digest(seed, "order", F.col("row_key"), F.col("copy"), digits=15).alias("place"))
+    dealt = keyed.repartition("place").sortWithinPartitions("place")
+    return dealt.select(*[F.col("row")[c].alias(c) for c in names], F.col("copy").alias(free_name(names, "copy_no")), F.col("place").alias(free_name(names, "mix_key")))
 
 
 def op1_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:

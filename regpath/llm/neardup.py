@@ -227,19 +227,24 @@ def near_duplicates(docs: DataFrame, k: int = 2, percent: int = 80, key: str = "
 
 
 def keep_one(docs: DataFrame, scratch: Scratch | None = None, **how) -> DataFrame:
-    """One row of docs for each group of near-duplicates, its least doc_id; rows without a doc_id stay.
+    """One row of docs for each group of near-duplicates: of its least doc_id, and of these of the least text hash.
 
-    Rows of equal doc_id are one document: one of them stays, that of the least text hash.
+    Rows of equal doc_id, or of none, are documents of their own unless their texts are near-duplicates too.
+    Texts without a word link with nothing: of such rows only those of equal doc_id and text count as one.
     """
     scratch = scratch or Scratch(docs.sparkSession, "neardup")
-    found = scratch.table(near_duplicates(docs, scratch=scratch, **how))
-    dropped = found.where("not kept").select("doc_id").distinct()
-    left = docs.join(dropped.hint("merge"), "doc_id", "left_anti").select(*docs.columns)
-    if small(found.where("doc_id is not null").groupBy("doc_id").count().where("count > 1"), 0):
-        return left
-    first = F.min_by(F.struct(*docs.columns), F.xxhash64(F.coalesce("text", F.lit("")))).alias("row")
-    one = left.where("doc_id is not null").groupBy("doc_id").agg(first).select("row.*")
-    return one.union(left.where("doc_id is null"))
+    names = docs.columns
+    if small(docs.groupBy("doc_id").count().where("count > 1 or doc_id is null"), 0):
+        dropped = near_duplicates(docs, scratch=scratch, **how).where("not kept").select("doc_id")
+        return docs.join(scratch.table(dropped).hint("merge"), "doc_id", "left_anti").select(*[F.col(f"`{c}`") for c in names])
+    mark = F.xxhash64(F.coalesce(F.col("doc_id").cast("string"), F.lit("none")), F.coalesce("text", F.lit("")))
+    own = docs.select(F.struct(*[F.col(f"`{c}`") for c in names]).alias("row"), mark.alias("mark"), F.col("doc_id").alias("key"), "text")
+    found = scratch.table(near_duplicates(own, key="mark", scratch=scratch, **how).select(F.col("mark").alias("of"), F.col("component_id").alias("group")).distinct())
+    ids = scratch.table(own.select("mark", "key").distinct())
+    first = ids.join(found.hint("merge"), F.col("mark") == F.col("of")).groupBy("group").agg(F.min(F.struct(F.col("key").isNull().alias("without"), "key", "mark")).alias("x")).select(F.col("x.mark").alias("kept"))
+    left = own.join(first.hint("merge"), F.col("mark") == F.col("kept"), "left_semi")
+    one = left.groupBy("mark").agg(F.min_by("row", F.to_json("row")).alias("row"))
+    return one.select(*[F.col("row")[c].alias(c) for c in names])
 
 
 def op9_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
