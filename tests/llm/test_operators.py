@@ -225,6 +225,35 @@ def test_vector_recall_at_the_threshold():
     assert met.mean() > 0.998
 
 
+@pytest.mark.parametrize(("vectors_", "dim"), [(500, 64), (50_000, 64), (5_000_000, 64), (500_000_000, 64), (50_000, 256)])
+def test_vector_recall_of_each_depth(vectors_, dim):
+    """Pairs at the threshold share a code, whatever depth a table's size asks for."""
+    rng = np.random.default_rng(5)
+    x = rng.normal(size=(1500, dim))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    g = rng.normal(size=x.shape)
+    g -= (g * x).sum(axis=1, keepdims=True) * x
+    y = 0.95 * x + (1 - 0.95**2) ** 0.5 * g / np.linalg.norm(g, axis=1, keepdims=True)
+    depth, tables = vectors.plan(vectors_, dim)
+    met = np.array([len(np.intersect1d(p, q)) > 0 for p, q in zip(vectors.codes(x, depth, tables), vectors.codes(y, depth, tables), strict=True)])
+    assert met.mean() > 0.997
+
+
+def test_vectors_of_the_given_table_against_brute_force(spark):
+    sf = "/root/testdata/sf0.01"
+    rows = [(r["vec_id"], r["embedding"]) for r in spark.read.parquet(f"{sf}/embeddings.parquet").select("vec_id", "embedding").collect()]
+    x = np.array([v for _, v in rows], dtype=np.float64)
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    close = np.argwhere(np.triu(x @ x.T >= vectors.COSINE, 1))
+    links = collections.defaultdict(set)
+    for i, j in close.tolist():
+        links[rows[i][0]].add(rows[j][0])
+        links[rows[j][0]].add(rows[i][0])
+    want = components([i for i, _ in rows], links)
+    got = {r["vec_id"]: (r["n_links"], r["component_id"]) for r in vectors.op3_embedding_dedup(spark, sf).collect()}
+    assert got == {i: (len(links[i]), want[i]) for i, _ in rows}
+
+
 # ---- 4 decontamination
 
 
@@ -249,6 +278,25 @@ def test_decontamination(spark):
     assert left.columns == odd(spark).columns and left.count() == 12
 
 
+def test_parts_of_long_items(spark, duck, same_rows):
+    """A part of a long item, and one with words put in between its parts, are overlaps; short runs are not; the SQL agrees, short items included."""
+    rng = random.Random(11)
+    item = words(rng, 150)
+    changed = [w if i % 9 else "new" for i, w in enumerate(item[30:60])]
+    rows = [(0, " ".join(words(rng, 30) + item[40:100])), (1, " ".join(item[10:25] + ["x", "y"] + item[25:40] + ["z"] + item[40:62])), (2, " ".join(words(rng, 5) + changed + words(rng, 50))), (3, " ".join(words(rng, 40) + item[7:20])), (4, None), (5, "two words"), (6, "so five words stand right here then"), (7, " ".join(item))]
+    bench = spark.createDataFrame([(1, " ".join(item)), (2, "Two words"), (3, "five words stand right here"), (4, None), (5, "")], "item_id long, text string")
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    found = decontaminate.overlaps(docs, bench)
+    assert {(r["doc_id"], r["item_id"]) for r in found.collect()} == {(0, 1), (1, 1), (2, 1), (5, 2), (6, 3), (7, 1)}
+    assert sorted(map(tuple, decontaminate.overlaps(docs, bench, broadcast_up_to=0).collect())) == sorted(map(tuple, found.collect()))
+    con = duck.cursor()
+    for name, df in (("documents", docs), ("benchmark", bench)):
+        frame = df.toPandas()
+        con.register(f"own_{name}", frame)
+    sql = decontaminate.ORACLE.replace("FROM documents", "FROM own_documents").replace("FROM benchmark", "FROM own_benchmark")
+    same_rows(found, con, sql)
+
+
 # ---- 5 sharding
 
 
@@ -623,6 +671,51 @@ def test_language_of_documents_and_pages(spark, sf):
     assert np.mean([r["declared"] == r["language"] for r in rows]) > 0.97
 
 
+def test_language_accuracy_on_rows_kept_from_fitting(spark):
+    """Text alone, and all evidence, on documents that no model has seen; declarations are hidden from the texts' model and from the first figure."""
+    from pyspark.sql import functions as F
+
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    held = F.pmod(F.xxhash64("doc_id"), F.lit(3)) == 0
+    truth = {r["doc_id"]: r["lang"] for r in docs.where(held).select("doc_id", "lang").collect()}
+    hidden = docs.withColumn("lang", F.when(~held, F.col("lang")))
+    for source in ("source", None):
+        own = hidden if source else hidden.withColumn("source", F.lit("one"))
+        found = {r["key"]: r for r in language.identify(language.of_documents(own)).collect()}
+        right = [found[d]["language"] == lang for d, lang in truth.items() if lang]
+        assert len(right) > 200 and np.mean(right) > 0.95
+
+
+def test_language_posteriors_against_numpy(spark, sf):
+    """Each posterior again, from the model's table and the counts of hosts, in plain NumPy."""
+    import math
+
+    docs = spark.read.parquet(f"{sf}/documents.parquet").limit(200).cache()
+    rows = language.of_documents(docs).collect()
+    model = language.fit(language.of_documents(docs))
+    n = len(model.languages)
+    codes = [language._codes(pa.array([r["text"]])) for r in rows]
+    scores = np.array([[t[c].sum() for t in model.table] for c, _ in codes])
+    grams = np.array([len(c) for c, _ in codes])
+    guess = [int(s[:n].argmax()) if g and s[:n].max() > s[n] else None for s, g in zip(scores, grams, strict=True)]
+    overall = (np.bincount([g for g in guess if g is not None], minlength=n) + 1.0) / (sum(g is not None for g in guess) + n)
+    weight = language.HOST_WEIGHT
+    smooth = lambda counts, parent: (counts + weight * parent) / (counts.sum() + weight)
+    above = smooth(np.bincount([g for g in guess if g is not None], minlength=n), overall)
+    got = {r["key"]: r for r in language.identify(language.of_documents(docs)).collect()}
+    for i, r in enumerate(rows):
+        own = np.bincount([g for g, x in zip(guess, rows, strict=True) if g is not None and x["host"] == r["host"]], minlength=n)
+        prior = smooth(own, above) if own.sum() else overall
+        total = scores[i] * min(1.0, language.EVIDENCE / max(1, grams[i])) + np.append(np.log(prior * (1 - language.UNKNOWN)), math.log(language.UNKNOWN))
+        said = (r["declared"] or "").lower()
+        if said in model.languages:
+            wrong = math.log((1 - language.DECLARED_RIGHT) / max(1, n - 1))
+            total += np.array([math.log(language.DECLARED_RIGHT) if x == said else wrong for x in model.languages] + [math.log(1 / n)])
+        best = int(total.argmax())
+        assert got[r["key"]]["language"] == [*model.languages, "und"][best]
+        assert np.isclose(got[r["key"]]["posterior"], 1 / np.exp(total - total[best]).sum())
+
+
 def test_language_evidence(spark):
     en, de = "the and of that with this from there " * 6, "der und die nicht sich ein mit auch " * 6
     rows = [(i, en if i % 2 else de, "en" if i % 2 else "de", None, f"h{i % 2}") for i in range(60)]
