@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from regpath.functions import regex
+from regpath.functions import regex, vectorised
 from regpath.operators import reach
 from regpath.plans import evaluate as ev
 from regpath.plans import measure, surface, workloads
@@ -622,6 +622,11 @@ _add("talk_any", _rpq("talk", ".*"), _pairs("talk", "SELECT * FROM c", closure("
 _add("near_same", _rpq("near", "same+"), _pairs("near", then("s", "c"), ("s", edge("same")), closure("c", "same")))
 _add("near_mixed", _rpq("near", "same*/diff"), _pairs("near", then("c", "d"), closure("c", "same"), ("d", edge("diff"))))
 _add("cosine_edges", builders.cosine_edges, query("near", "SELECT src, g.label, dst, round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 4) AS cosine FROM g JOIN embeddings a ON a.vec_id = src JOIN embeddings b ON b.vec_id = dst"))
+_add("cosine_edges_vectorised", lambda s, d: builders.cosine_edges(s, d, by=vectorised.cosine), ORACLES["cosine_edges"])
+_add("degree_deviation", lambda s, d: builders.supply(s, d).edges.groupBy("label", "src").count().groupBy("label").agg(F.round(vectorised.deviation("count"), 6).alias("deviation")), query("supply", "SELECT label, round(stddev_pop(n), 6) AS deviation FROM (SELECT label, src, count(*) AS n FROM g GROUP BY label, src) GROUP BY label"))
+_add("running_degree", lambda s, d: surface.running_degree(builders.timeline(s, d).edges, "part", ["dst"], "dst"), query(
+    "timeline", "SELECT part, dst, so_far, first, second, len(list_filter(near, lambda x: x = label)) AS recent FROM (SELECT user_id AS part, dst, label, count(*) OVER (PARTITION BY user_id ORDER BY dst) AS so_far, first_value(dst) OVER w AS first, nth_value(dst, 2) OVER w AS second, list(label) OVER (PARTITION BY user_id ORDER BY dst ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS near FROM g JOIN events ON event_id = dst WINDOW w AS (PARTITION BY user_id ORDER BY dst ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING))",
+))
 _add("udtf_pairs", surface.udtf_pairs, _pairs("talk", then("a", "c"), ("a", edge("user")), closure("c", "assistant", "user")))
 _add("explain_cost", lambda s, d: surface.explain_cost(workloads.workload("nine_atoms"), *_stored(s, d, "timeline")))
 _add("stream_timeline", feed.replayed_timeline, query("timeline", "SELECT src, label, dst FROM g"))

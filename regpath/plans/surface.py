@@ -148,3 +148,9 @@ def udtf_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.sql("SELECT x, y FROM path_pairs(TABLE(regpath_talk_edges) PARTITION BY (part), 'user/(user|assistant)*')")
 
 
+def running_degree(edges: DataFrame, key: str, order: list[str], vertex: str) -> DataFrame:
+    """(key, vertex, so_far, first, second, recent): edges of a key up to each one, the key's first and second target, and edges among the last three that share its label."""
+    w = Window.partitionBy(key).orderBy(*order)
+    upto, whole, recent = w.rowsBetween(Window.unboundedPreceding, 0), w.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing), w.rowsBetween(-2, 0)
+    same = F.size(F.filter(F.collect_list("label").over(recent), lambda x: x == F.col("label")))
+    return edges.select(key, vertex, F.count(F.lit(1)).over(upto).alias("so_far"), F.first(vertex).over(whole).alias("first"), F.nth_value(vertex, 2).over(whole).alias("second"), same.alias("recent"))

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -220,11 +221,11 @@ def cosine(a: Column, b: Column) -> Column:
     return dot(a, b) / F.sqrt(dot(a, a) * dot(b, b))
 
 
-def cosine_edges(spark: SparkSession, sf_dir: str, k: int = 5) -> DataFrame:
-    """(src, label, dst, cosine): nearest neighbours with their cosine, recomputed from the vectors."""
+def cosine_edges(spark: SparkSession, sf_dir: str, k: int = 5, by: Callable[[Column, Column], Column] | None = None) -> DataFrame:
+    """(src, label, dst, cosine): nearest neighbours with their cosine, recomputed from the vectors; by: another function for it."""
     g, v = near(spark, sf_dir, k).edges, read(spark, sf_dir, "embeddings").select("vec_id", "embedding")
     both = g.join(v.select(F.col("vec_id").alias("src"), F.col("embedding").alias("_a")), "src").join(v.select(F.col("vec_id").alias("dst"), F.col("embedding").alias("_b")), "dst")
-    return both.select("src", "label", "dst", F.round(cosine(F.col("_a"), F.col("_b")), 4).alias("cosine"))
+    return both.select("src", "label", "dst", F.round((by or cosine)(F.col("_a"), F.col("_b")), 4).alias("cosine"))
 
 
 def session_edges(rows: DataFrame, key: list[str], ts: str, vertex: str, tie: str, gap: str, label: str = "same_session") -> LabeledGraph:
