@@ -163,3 +163,15 @@ def test_plans_prune_and_do_not_multiply(spark, sf):
     plan = reach.pairs_capped(stored, parse_path("placed/contains_R"), how=how)._jdf.queryExecution().toString()
     assert "In(label" in plan or "EqualTo(label" in plan
     assert "Cartesian" not in plan and "NestedLoop" not in plan and "Python" not in plan
+
+
+def test_local_beyond_a_task(spark):
+    """A graph without parts that is too large for one task is not walked in one, in mode local neither."""
+    rows = [(i, "ab"[i % 2], (i * 7 + 3) % 40) for i in range(40)] + [(i, "a", (i * 5 + 1) % 40) for i in range(40)]
+    for text, other in (("a/b", "unrolled"), ("(a|b)*/b", "rounds")):
+        a, want = to_automaton(parse_path(text)), pairs(rows, text)
+        for one_part, way in (((1000, 10_000), "local"), ((30, 10_000), other), ((1000, 100), other)):
+            how = reach.Evaluation(Scratch(spark), mode="local", one_part=one_part)
+            g = graph(spark, rows)
+            assert how.way(g, a) == way
+            assert got(reach.pairs_capped(g, parse_path(text), how=how)) == want
