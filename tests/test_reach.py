@@ -175,3 +175,22 @@ def test_local_beyond_a_task(spark):
             g = graph(spark, rows)
             assert how.way(g, a) == way
             assert got(reach.pairs_capped(g, parse_path(text), how=how)) == want
+
+
+def test_pairs_by_least_middles(spark, monkeypatch):
+    """Two steps with far more walks than edges: each pair once, without a shuffle of the walks; the same under filters, and within a grid."""
+    rng = random.Random(5)
+    rows = sorted({(s, "a", 1000 + (0 if rng.random() < 0.7 else rng.randrange(12))) for s in range(60) for _ in range(3)} | {(1000 + rng.randrange(12), "b", 2000 + rng.randrange(30)) for _ in range(200)})
+    g = graph(spark, rows)
+    monkeypatch.setattr(reach, "LEAST_WALKS", 1)
+    monkeypatch.setattr(reach, "WALKS_FOR_MIDDLES", 0)
+    for walks in (1 << 22, 40):
+        monkeypatch.setattr(reach, "WALKS_A_TASK", walks)
+        for text in ("a/^a", "a/b", "^b/^a", "b/^b"):
+            how, want = reach.Evaluation(Scratch(spark)), pairs(rows, text)
+            df = reach.pairs_capped(g, parse_path(text), how=how)
+            assert got(df) == want and [x for x in how.log if x["stage"] == "middles"]
+            assert "HashAggregate" not in df._jdf.queryExecution().executedPlan().toString()
+        some = [*range(0, 40, 3), *range(2000, 2010)]
+        kept = {p for p in pairs(rows, "a/b") if p[0] in some and p[1] in some}
+        assert got(reach.pairs_capped(g, parse_path("a/b"), [ones(spark, some)], [ones(spark, some)])) == kept
