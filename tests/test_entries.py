@@ -24,7 +24,7 @@ def test_entry(spark):
 
 
 #: Queries on structure whose forms are read from line items.
-STRUCTURE = ["cyclic_rejected", "decomposition_table", "elimination_trace", "join_tree_table"]
+STRUCTURE = ["cyclic_rejected", "decomposition_table", "elimination_trace", "join_tree_table", "width_table"]
 
 
 @pytest.mark.parametrize("name", STRUCTURE)
